@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langprofile, maxscore, pieces, toxicity
+from . import curriculum, importance, langprofile, linedup, maxscore, pieces, sketch, toxicity
 from . import textscan as ts
 
 TOKENIZER = "piece_bpe_32k.model"
@@ -19,10 +19,23 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_importance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return importance.judged(ts.table(spark, sf_dir, "documents"), ts.table(spark, sf_dir, "labels"))
+
+
 def op2_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.encode_documents(ts.table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cleaned = linedup.without_repeats(ts.table(spark, sf_dir, "documents"), keep_places=True)
+    return cleaned.select("doc_id", "n_lines", F.size("removed_lines").alias("n_removed"), "removed_lines", "text")
+
+
+def op4_scaled_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sketch.compare_with_next(ts.table(spark, sf_dir, "documents"))
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = ts.table(spark, sf_dir, "documents")
     held_out = ts.crc_bucket("doc_id", 4) == 2
@@ -54,8 +67,12 @@ def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langprofile.identify(docs, profiles).select("doc_id", F.coalesce(held_out, F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 
+def op9_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return curriculum.mix(ts.table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_piece_codec, op5_toxicity, op6_maxscore, op7_language)}
+    return {f.__name__: f for f in (op1_importance, op2_piece_codec, op3_line_dedup, op4_scaled_sketch, op5_toxicity, op6_maxscore, op7_language, op9_curriculum)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -77,9 +77,9 @@ def fit_risk(bags: list[np.ndarray], positive: np.ndarray, prior: float, selecte
     in_p = np.bincount(flat[positive[owner]], minlength=size)
     in_u = np.bincount(flat[~positive[owner]], minlength=size)
     p, u = (in_p + 0.5) / (n_p + 1), (in_u + 0.5) / (n_u + 1)
-    z = np.where(in_p >= max(3, n_p // 500), (p - u) / np.sqrt(p * (1 - p) / n_p + u * (1 - u) / n_u), -np.inf)
+    z = np.where(in_p >= max(4, n_p // 500), (p - u) / np.sqrt(p * (1 - p) / n_p + u * (1 - u) / n_u), -np.inf)
     chosen = np.argsort(-z, kind="stable")[:selected]
-    chosen = chosen[z[chosen] > 3]
+    chosen = chosen[z[chosen] > 4]
     column = np.full(size, -1)
     column[chosen] = np.arange(len(chosen))
     keep = column[flat] >= 0

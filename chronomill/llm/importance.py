@@ -28,7 +28,7 @@ BUCKETS = 10_000
 LABELLED = 10_000
 SMOOTHING = 0.5
 #: Raw-model counts added to the target's, for each bucket on average.
-LEANING = 4.0
+LEANING = 20.0
 SEED = 20_240_101
 
 
@@ -110,13 +110,17 @@ def labelled(docs: DataFrame, labels: DataFrame, bound: int = LABELLED) -> DataF
 
 def fit(docs: DataFrame, labels: DataFrame) -> tuple[Weigher, float] | None:
     """The weigher and the cut on log weights; None without labelled target text."""
-    sample = ts.stored(labelled(docs, labels), "labelled")
-    target = bucket_counts(sample.filter("quality = 1"))
-    if not target.sum():
+    half = F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(2)).cast("int")
+    sample = ts.stored(labelled(docs, labels).withColumn("half", half), "labelled")
+    parts = [bucket_counts(sample.filter((F.col("quality") == 1) & (F.col("half") == h))) for h in (0, 1)]
+    if not (parts[0] + parts[1]).sum():
         return None
-    weigher = Weigher.fitted(target, bucket_counts(docs))
-    got = weighed(sample, weigher).join(F.broadcast(sample.select("doc_id", "quality").distinct()), "doc_id").select("log_weight", "quality").toPandas()
-    return weigher, best_cut(got.log_weight.to_numpy(), got.quality.to_numpy() == 1)
+    raw = bucket_counts(docs)
+    # The cut is found on weights that each half gets from the other half's target model.
+    known = F.broadcast(sample.select("doc_id", "quality").distinct())
+    got = [weighed(sample.filter(F.col("half") == h), Weigher.fitted(parts[1 - h], raw)).join(known, "doc_id").select("log_weight", "quality").toPandas() for h in (0, 1)]
+    weights, quality = (np.concatenate([g[c].to_numpy() for g in got]) for c in ("log_weight", "quality"))
+    return Weigher.fitted(parts[0] + parts[1], raw), best_cut(weights, quality == 1)
 
 
 def best_cut(weights: np.ndarray, is_target: np.ndarray) -> float:
@@ -127,7 +131,7 @@ def best_cut(weights: np.ndarray, is_target: np.ndarray) -> float:
     w, t = weights[order], is_target[order]
     lost = np.concatenate([[0], np.cumsum(t)]) / t.sum()
     caught = np.concatenate([[0], np.cumsum(~t)]) / (~t).sum()
-    gain = caught - 10 * lost  # losing target text weighs more
+    gain = caught - 4 * lost  # losing target text weighs more
     i = int(gain.argmax())
     if i == 0:
         return -np.inf

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import curriculum, importance, langprofile, linedup, maxscore, pieces, sketch, toxicity
+from . import curriculum, importance, langprofile, linedup, maxscore, minmax, pieces, sketch, toxicity
 from . import textscan as ts
 
 TOKENIZER = "piece_bpe_32k.model"
@@ -67,12 +67,16 @@ def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langprofile.identify(docs, profiles).select("doc_id", F.coalesce(held_out, F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 
+def op8_minmax(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minmax.groups(ts.table(spark, sf_dir, "documents"), k=3, percent=85)
+
+
 def op9_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curriculum.mix(ts.table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_importance, op2_piece_codec, op3_line_dedup, op4_scaled_sketch, op5_toxicity, op6_maxscore, op7_language, op9_curriculum)}
+    return {f.__name__: f for f in (op1_importance, op2_piece_codec, op3_line_dedup, op4_scaled_sketch, op5_toxicity, op6_maxscore, op7_language, op8_minmax, op9_curriculum)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -210,6 +210,8 @@ def groups(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
 
 def deduplicated(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """df without the rows that are not the smallest of their group; of rows with equal ids and texts one stays."""
-    judged = groups(df, k, percent)
-    gone = judged.filter(~F.col("kept")).select(F.col("doc_id").alias("_mm_id")).distinct()
-    return df.dropDuplicates(["doc_id", "text"]).join(gone, F.col("doc_id").eqNullSafe(F.col("_mm_id")), "left_anti")
+    judged = ts.stored(groups(df, k, percent), "judged")
+    gone = ts.stored(judged.filter(~F.col("kept")).select(F.col("doc_id").alias("_mm_id")).distinct(), "gone")
+    if not judged.groupBy("doc_id").count().filter("count > 1").isEmpty():
+        df = df.dropDuplicates(["doc_id", "text"])
+    return df.join(gone, F.col("doc_id").eqNullSafe(F.col("_mm_id")), "left_anti")

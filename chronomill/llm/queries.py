@@ -7,10 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import curriculum, importance, langprofile, linedup, maxscore, minmax, pieces, sketch, toxicity
+from . import curriculum, importance, langprofile, linedup, maxscore, minmax, pieces, sketch, surrogates, toxicity
 from . import textscan as ts
 
 TOKENIZER = "piece_bpe_32k.model"
+SURROGATE_KEY = "chronomill"
 
 
 def tokenizer_path(name: str = TOKENIZER) -> str:
@@ -75,8 +76,14 @@ def op9_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curriculum.mix(ts.table(spark, sf_dir, "documents"))
 
 
+def op10_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = ts.table(spark, sf_dir, "documents")
+    done = surrogates.replaced(docs, SURROGATE_KEY, with_entities=True)
+    return done.select("doc_id", F.size("entities").alias("n_entities"), F.transform("entities", lambda e: e["kind"]).alias("kinds"), F.transform("entities", lambda e: e["surrogate"]).alias("surrogates"), "text")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_importance, op2_piece_codec, op3_line_dedup, op4_scaled_sketch, op5_toxicity, op6_maxscore, op7_language, op8_minmax, op9_curriculum)}
+    return {f.__name__: f for f in (op1_importance, op2_piece_codec, op3_line_dedup, op4_scaled_sketch, op5_toxicity, op6_maxscore, op7_language, op8_minmax, op9_curriculum, op10_surrogates)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -60,12 +60,12 @@ def position(share: Column, knots: tuple[tuple[float, float], ...]) -> Column:
     return out
 
 
-def planned(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, total: float = TOTAL, most: int = MOST, carry: tuple[str, ...] = ()) -> DataFrame:
+def planned(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, total: float = TOTAL, most: int = MOST, carry: bool = False) -> DataFrame:
     """doc_id, source, size, source_size, weight_class, target, offset (the source's words before the document in its
-    order) of every document, and the columns of `carry`."""
+    order) of every document; with carry also its whole row, as _mix_row."""
     size = ts.word_count(F.col("text"))
     key = F.xxhash64("doc_id", F.xxhash64("text"))
-    rows = docs.select("doc_id", "source", size.alias("size"), key.alias("_mix_key"), *[F.col(c) for c in carry])
+    rows = docs.select("doc_id", "source", size.alias("size"), key.alias("_mix_key"), *([F.struct(*docs.columns).alias("_mix_row")] if carry else []))
     small = ts.stored(rows.select("source", "size", "_mix_key"), "sizes")
     buckets = max(16, small.count() // BUCKET_ROWS)
     bucket = F.pmod(F.shiftrightunsigned("_mix_key", 8), F.lit(buckets)).cast("int")
@@ -105,10 +105,9 @@ def curriculum(docs: DataFrame, **options) -> DataFrame:
     """The documents in training order with all their columns, a copy for each time that they are read; the last
     document of a source is read if at least half of it is within the target."""
     most = options.get("most", MOST)
-    columns = docs.columns
-    plan = planned(docs, carry=tuple(c for c in columns if c not in ("doc_id", "source")), **options)
+    plan = planned(docs, carry=True, **options)
     reads = F.array(*[F.col("offset") + e * F.col("source_size") for e in range(most)])
     plan = plan.filter("size > 0").withColumn("_mix_at", F.explode(F.filter(reads, lambda x: x + F.col("size") / 2 <= F.col("target"))))
     ordered = plan.withColumn("_mix_position", _scheduled(F.col("_mix_at")))
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return ordered.repartitionByRange(parts, "_mix_position", "doc_id").sortWithinPartitions("_mix_position", "doc_id").select(*columns)
+    return ordered.repartitionByRange(parts, "_mix_position", "doc_id").sortWithinPartitions("_mix_position", "doc_id").select("_mix_row.*")

@@ -518,7 +518,7 @@ _CON = f"con AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p, l_suppkey AS s
 
 
 def trade_sql(ordered: str = "ord", facts: str = "") -> str:
-    span = f"sp AS (SELECT least((SELECT min(lo) FROM ord), (SELECT min(lo) FROM con)) AS lo, greatest((SELECT max(hi) FROM ord), (SELECT max(lo) FROM con)) AS hi)"
+    span = "sp AS (SELECT least((SELECT min(lo) FROM ord), (SELECT min(lo) FROM con)) AS lo, greatest((SELECT max(hi) FROM ord), (SELECT max(lo) FROM con)) AS hi)"
     bought = f"(SELECT c, s, con.lo, con.lo AS hi FROM {ordered} r JOIN con ON r.o = con.o AND con.lo BETWEEN r.lo AND r.hi)"
     clip = lambda cols, src: f"(SELECT {cols}, greatest(z.lo, sp.lo) AS lo, least(z.hi, sp.hi) AS hi FROM {src} z CROSS JOIN sp WHERE z.lo <= sp.hi AND z.hi >= sp.lo)"
     seg = "(SELECT c_custkey AS c, dense_rank() OVER (ORDER BY c_mktsegment) - 1 AS k FROM customer)"
@@ -534,6 +534,8 @@ def trade_sql(ordered: str = "ord", facts: str = "") -> str:
         f"SELECT 'urgent_' || k, c, -1, lo, hi FROM (SELECT z.c, k, z.lo, z.hi FROM {clip('c, o', f'(SELECT c, o, lo, hi + 14 AS hi FROM {ordered})')} z JOIN {prio} g ON g.o = z.o)",
         f"SELECT 'moving_' || k, p, -1, lo, hi FROM (SELECT z.p, k, z.lo, z.hi FROM {clip('p', '(SELECT p, lo, lo + 28 AS hi FROM con)')} z JOIN {typ} g ON g.p = z.p)",
         f"SELECT 'pending_' || k, o, -1, lo, hi FROM (SELECT z.o, k, z.lo, z.hi FROM {clip('o', f'(SELECT o, lo, hi + 40 AS hi FROM {ordered})')} z JOIN {stat} g ON g.o = z.o)",
+        # Zero is in the range, so an order's own time counts for every state.
+        f"SELECT 'pending_' || k, o, -1, lo, hi FROM {ordered} CROSS JOIN (VALUES (0), (1), (2)) v(k)",
         f"SELECT 'active', c, -1, lo, hi + 120 FROM {ordered}",
         f"SELECT 'soon', c, -1, lo - 14, hi FROM {ordered}",
     ]

@@ -135,12 +135,22 @@ class PieceModel:
                 raise ValueError(f"a document's ids differ from the library's: {t[:80]!r}")
 
 
+_loaded: dict[str, PieceModel] = {}
+
+
+def model_for(path: str) -> PieceModel:
+    """The model of a path, with the cuts that this worker process has met."""
+    if path not in _loaded:
+        _loaded[path] = PieceModel(path)
+    return _loaded[path]
+
+
 def encode_documents(df: DataFrame, model_path: str, with_ids: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256, and ids array<int> if asked for."""
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = PieceModel(model_path)
+        model = model_for(model_path)
         sha = lambda s: hashlib.sha256(s.encode()).hexdigest()
         for batch in batches:
             for at in range(0, len(batch), 256):

@@ -51,9 +51,12 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def learn(df: DataFrame, may_learn: Column, top: int = TOP, docs_per_lang: int = DOCS_PER_LANG) -> dict[str, list[str]]:
     """Profiles by language, from rows with a language for which may_learn holds."""
     rows = df.filter(may_learn & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    sizes = rows.groupBy("lang").count().select(F.col("lang").alias("_lang"), (docs_per_lang / F.col("count")).alias("_share"))
-    pick = (F.pmod(F.xxhash64("text"), F.lit(1 << 20)) / float(1 << 20)) < F.col("_share")
-    sample = rows.join(sizes, F.col("lang") == F.col("_lang")).filter(pick).select("lang", "text")
+    sizes = rows.groupBy("lang").count().collect()  # one row a language
+    share = F.lit(0.0)
+    for lang, n in sizes:
+        share = F.when(F.col("lang") == lang, min(1.0, docs_per_lang / n)).otherwise(share)
+    pick = (F.pmod(F.xxhash64("text"), F.lit(1 << 20)) / float(1 << 20)) < share
+    sample = rows.filter(pick).select("lang", "text")
     counted = sample.mapInArrow(_count, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
     order = Window.partitionBy("lang").orderBy(F.desc("n"), "gram")
     best = counted.withColumn("r", F.row_number().over(order)).filter(F.col("r") <= top).select("lang", "r", "gram").collect()

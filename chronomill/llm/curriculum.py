@@ -23,7 +23,7 @@ from . import textscan as ts
 WEIGHTS = (5, 2, 1)
 TOTAL = 1.5
 MOST = 2
-BUCKET_ROWS = 2000
+BUCKET_ROWS = 200
 #: Knots (time, weight) of the schedule of each weight class: heavy sources fade, light ones grow.
 SCHEDULES = (((0.0, 1.5), (1.0, 0.5)), ((0.0, 1.0), (1.0, 1.0)), ((0.0, 0.5), (0.5, 1.0), (1.0, 1.5)))
 

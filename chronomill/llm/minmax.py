@@ -4,13 +4,12 @@ A document is the set of its k-word shingle hashes. Each of `HASHES` hash functi
 minimum and the maximum, so the signature is twice as long as the hashing is costly; its values are cut into bands of
 `ROWS`. Documents with equal sets become one node. Nodes that share a band value are compared in rounds:
 
-1. each node with the smallest node of one of its band values, 2. with those of its other band values, if it is not in
-their group yet, 3. in band values that still hold several groups, every node outside the largest group with all nodes
-of other groups whose signatures are not far apart. A comparison intersects the full sets; after each round links are
-joined into groups. Pairs that already are in one group need no comparison, so a group of n near copies costs about n.
-
-The signature check of round 3 drops pairs whose estimate is `SLACK` below the threshold (5 standard errors at the
-threshold). No bucket, group or number of partners is capped.
+1. each node with the chief of one of its band values (the node with the most company in all its band values), 2. with
+the chiefs of its others, if it is not in their group yet, 3. among the nodes of a chief that still are in several
+groups, every node outside the largest group with all nodes of other groups, in blocks. A comparison intersects the
+full sets; after each round links are joined into groups. Pairs that already are in one group need no comparison, so a
+family of n copies costs about n comparisons, and those that its chief does not link cost block products, which emit
+links only. No bucket, group or number of partners is capped.
 
 Edge cases: null and empty texts have an empty set and stay alone; texts with fewer words than k are one shingle;
 null ids count as the smallest; repeated rows are copies; rows with equal ids and different texts are kept apart while
@@ -30,7 +29,9 @@ from . import textscan as ts
 
 HASHES = 40
 ROWS = 4
-SLACK = 0.2
+#: Rows of a block, and columns of shingles taken at a time, when sets are intersected in blocks.
+BLOCK = 256
+COLUMNS = 8192
 LEAST_ID = -(1 << 63)
 
 _random = np.random.default_rng(7_340_033)
@@ -71,7 +72,7 @@ def banded(sig: np.ndarray, rows: int = ROWS) -> np.ndarray:
 
 
 def _signed(df: DataFrame, k: int) -> DataFrame:
-    """node parts (d, s), set identity t, size n, bands and 32-bit signature values of every row."""
+    """node parts (d, s), set identity t, size n and bands of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -85,16 +86,16 @@ def _signed(df: DataFrame, k: int) -> DataFrame:
                     with np.errstate(over="ignore"):
                         ident[0, full] = ts.mix(np.add.reduceat(ts.mix(values + np.uint64(1)), starts) + sizes[full].astype(np.uint64))
                         ident[1, full] = ts.mix(np.add.reduceat(ts.mix(values * np.uint64(ts.BASE)), starts))
-                bands, low = banded(sig), (sig >> np.uint64(16)).astype(np.uint32)
+                bands = banded(sig)
                 per_row = np.concatenate([[0], np.cumsum(sizes > 0)]).astype(np.int32)
                 lists = lambda m, kind: pa.ListArray.from_arrays(pa.array(per_row * m.shape[1], pa.int32()), pa.array(m.ravel().view(kind)))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("d").slice(a, b - a), pa.array(ident[0].view(np.int64)), pa.array(ident[1].view(np.int64)), pa.array(sizes.astype(np.int64)), lists(bands, np.int64), lists(np.ascontiguousarray(low), np.int32)],
-                    ["d", "s", "t", "n", "bands", "sig"],
+                    [batch.column("d").slice(a, b - a), pa.array(ident[0].view(np.int64)), pa.array(ident[1].view(np.int64)), pa.array(sizes.astype(np.int64)), lists(bands, np.int64)],
+                    ["d", "s", "t", "n", "bands"],
                 )
 
     rows = df.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LEAST_ID)).alias("d"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "d long, s long, t long, n long, bands array<long>, sig array<int>")
+    return rows.mapInArrow(run, "d long, s long, t long, n long, bands array<long>")
 
 
 def _full_sets(df: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -125,6 +126,40 @@ def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.filter(100 * common >= percent * (F.size("_set_a") + F.size("_set_b") - common)).select("a", "b")
 
 
+def _block_links(t: pa.Table, percent: int) -> pa.Table:
+    """Links between rows of different groups, one of them outside: exact intersections of a block of sets with another."""
+    outside = t.column("outside").to_numpy(zero_copy_only=False)
+    lists = t.column("members").combine_chunks()
+    lists = lists if isinstance(lists, pa.ListArray) else pa.concat_arrays(lists.chunks)
+    offsets, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
+    sizes = np.diff(offsets)
+    owner = np.repeat(np.arange(len(t)), sizes)
+    values, at = np.unique(flat[offsets[0] : offsets[-1]], return_inverse=True)
+    # Only shingles that both sides have count.
+    both = (np.bincount(at[outside[owner]], minlength=len(values)) > 0) & (np.bincount(at[~outside[owner]], minlength=len(values)) > 0)
+    rank = np.cumsum(both) - 1
+    rows = {True: np.flatnonzero(outside), False: np.flatnonzero(~outside)}
+    place = np.empty(len(t), np.int64)
+    for r in rows.values():
+        place[r] = np.arange(len(r))
+    common = np.zeros((len(rows[True]), len(rows[False])), np.float32)
+    for low in range(0, int(both.sum()), COLUMNS):
+        use = both[at] & (rank[at] >= low) & (rank[at] < low + COLUMNS)
+        part = {}
+        for side, r in rows.items():
+            own = use & (outside[owner] == side)
+            part[side] = np.zeros((len(r), min(COLUMNS, int(both.sum()) - low)), np.float32)
+            part[side][place[owner[own]], rank[at[own]] - low] = 1
+        common += part[True] @ part[False].T
+    n_out, n_in = sizes[rows[True]][:, None], sizes[rows[False]][None, :]
+    x, y = np.nonzero(100 * common.astype(np.int64) >= percent * (n_out + n_in - common.astype(np.int64)))
+    groups = t.column("group").to_pylist()
+    nodes = t.column("node").to_pylist()
+    pairs = [(nodes[rows[True][i]], nodes[rows[False][j]]) for i, j in zip(x, y, strict=True) if groups[rows[True][i]] != groups[rows[False][j]]]
+    kind = pa.struct([("d", pa.int64()), ("s", pa.int64())])
+    return pa.table({"a": pa.array([p[0] for p in pairs], kind), "b": pa.array([p[1] for p in pairs], kind)})
+
+
 def components(edges: DataFrame) -> DataFrame:
     """node and group (its smallest reachable node) of the nodes of edges (a, b), by alternating star contraction."""
 
@@ -154,15 +189,20 @@ def groups(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     signed = ts.stored(_signed(df, k), "signed")
     full = signed.filter("n > 0")
     node = F.struct("d", "s")
-    nodes = full.groupBy("s", "t").agg(F.min("d").alias("d"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"), F.any_value("sig").alias("sig"))
-    nodes = ts.stored(nodes.select(node.alias("node"), "t", "n", "bands", "sig"), "nodes")
+    nodes = full.groupBy("s", "t").agg(F.min("d").alias("d"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
+    nodes = ts.stored(nodes.select(node.alias("node"), "t", "n", "bands"), "nodes")
     entries = nodes.select("node", F.explode("bands").alias("band"))
-    shared = ts.stored(entries.groupBy("band").agg(F.min("node").alias("pivot"), F.count(F.lit(1)).alias("c")).filter("c > 1").select(F.col("band").alias("_band"), "pivot"), "shared")
-    live = ts.stored(entries.join(shared, F.col("band") == F.col("_band")).select("band", "node", "pivot"), "live")
+    shared = ts.stored(entries.groupBy("band").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").withColumnRenamed("band", "_band"), "shared")
+    live = ts.stored(entries.join(shared, F.col("band") == F.col("_band")).select("band", "node", "c"), "live")
+    # The node of a band value with the most company in all of its band values: in a family of copies, what they copy.
+    company = ts.stored(live.groupBy("node").agg(F.sum("c").alias("company")).withColumnRenamed("node", "_node"), "company")
+    ranked = live.join(company, F.col("node") == F.col("_node")).select("band", "node", "company")
+    chief = ranked.groupBy("band").agg(F.max(F.struct("company", "node")).alias("chief")).select(F.col("band").alias("_band"), "chief")
+    live = ts.stored(live.join(ts.stored(chief, "chief"), F.col("band") == F.col("_band")).select("node", "chief").distinct(), "stars")
     sets = ts.stored(_full_sets(df, live.select("node").distinct(), k), "sets")
-    stars = live.filter(F.col("node") != F.col("pivot")).select(F.col("pivot").alias("a"), F.col("node").alias("b"))
+    stars = live.filter(F.col("node") != F.col("chief.node")).select(F.col("chief.node").alias("a"), F.col("node").alias("b"))
 
-    first = stars.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    first = live.filter(F.col("node") != F.col("chief.node")).groupBy("node").agg(F.max("chief").alias("m")).select(F.col("m.node").alias("a"), F.col("node").alias("b"))
     links = ts.stored(_linked(ts.stored(first, "pairs"), sets, percent), "links")
     found = components(links)
 
@@ -176,29 +216,26 @@ def groups(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     others = with_groups(ts.stored(stars.distinct(), "stars"), ("a", "b")).filter(F.col("g_a") != F.col("g_b")).select("a", "b")
     others = others.join(first, ["a", "b"], "left_anti")
     more = ts.stored(_linked(ts.stored(others, "pairs"), sets, percent), "links")
-    links = links.unionByName(more)
-    found = ts.stored(components(links), "groups")
-
-    # Band values that still hold several groups.
-    placed = with_groups(live.select("band", F.col("node").alias("a")), ("a",))
-    mixed = placed.groupBy("band").agg(F.min("g_a").alias("lo"), F.max("g_a").alias("hi")).filter(F.col("lo") != F.col("hi")).select(F.col("band").alias("_band"))
-    sizes = nodes.select(F.col("node").alias("_node"), "n", "sig")
-    open_rows = placed.join(mixed, F.col("band") == F.col("_band")).join(sizes, F.col("a") == F.col("_node")).select("band", F.col("a").alias("node"), F.col("g_a").alias("group"), "n", "sig")
-    open_rows = ts.stored(open_rows, "open")
-    counted = open_rows.groupBy("band", "group").agg(F.count(F.lit(1)).alias("c"))
-    largest = counted.groupBy("band").agg(F.max(F.struct("c", "group")).alias("m")).select(F.col("band").alias("_band"), F.col("m.group").alias("main"))
-    outside = ts.stored(open_rows.join(largest, F.col("band") == F.col("_band")).filter(F.col("group") != F.col("main")).drop("_band"), "outside")
-    x = outside.select(*[F.col(c).alias(f"x_{c}") for c in ("band", "node", "group", "n", "sig", "main")])
-    close = F.size(F.filter(F.zip_with("sig", "x_sig", lambda p, q: p == q), lambda e: e)) >= (percent / 100 - SLACK) * 2 * HASHES
-    sized = 100 * F.least("n", "x_n") >= percent * F.greatest("n", "x_n")
-    once = (F.col("group") == F.col("x_main")) | (F.col("x_node") < F.col("node"))
-    rest = x.join(open_rows, (F.col("x_band") == F.col("band")) & (F.col("group") != F.col("x_group")) & once & sized & close).select(F.col("x_node").alias("a"), F.col("node").alias("b")).distinct()
-    # Pairs that rounds 1 and 2 have compared are known not to be linked.
-    compared = stars.select(F.col("a").alias("p"), F.col("b").alias("q")).distinct()
-    rest = ts.stored(rest, "pairs").join(ts.stored(compared, "compared"), (F.col("p") == F.least("a", "b")) & (F.col("q") == F.greatest("a", "b")), "left_anti")
-    last = ts.stored(_linked(ts.stored(rest, "pairs"), sets, percent), "links")
+    named_edges = lambda: found.filter(F.col("node") != F.col("group")).select(F.col("node").alias("a"), F.col("group").alias("b"))
+    if not more.isEmpty():
+        found = ts.stored(components(named_edges().unionByName(more)), "groups")
+
+    # Stars whose nodes still are in several groups: all pairs of different groups, in blocks.
+    placed = ts.stored(with_groups(stars.distinct().unionByName(stars.select("a", F.col("a").alias("b")).distinct()), ("b",)).select(F.col("a").alias("star"), F.col("b").alias("node"), F.col("g_b").alias("group")), "placed")
+    counted = placed.groupBy("star", "group").agg(F.count(F.lit(1)).alias("c"))
+    mixed = counted.groupBy("star").agg(F.sum("c").alias("all"), F.max(F.struct("c", "group")).alias("m"), F.count(F.lit(1)).alias("groups")).filter("groups > 1")
+    mixed = ts.stored(mixed.select(F.col("star").alias("_star"), F.col("m.group").alias("main"), F.ceil(F.col("all") / BLOCK).cast("int").alias("inner"), F.ceil((F.col("all") - F.col("m.c")) / BLOCK).cast("int").alias("outer")), "mixed")
+    members = placed.join(mixed, F.col("star") == F.col("_star")).join(sets.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"))
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    block = lambda n: F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
+    carried = ["star", "node", "group", "members"]
+    inside = members.select(*carried, F.lit(False).alias("outside"), block("inner").alias("i"), every("outer").alias("j"))
+    outside = members.filter(F.col("group") != F.col("main")).select(*carried, F.lit(True).alias("outside"), every("inner").alias("i"), block("outer").alias("j"))
+    node_type = "struct<d:bigint,s:bigint>"
+    last = inside.unionByName(outside).groupBy("star", "i", "j").applyInArrow(lambda t: _block_links(t, percent), f"a {node_type}, b {node_type}")
+    last = ts.stored(last.distinct(), "links")
     if not last.isEmpty():
-        found = ts.stored(components(links.unionByName(last)), "groups")
+        found = ts.stored(components(named_edges().unionByName(last)), "groups")
 
     by_set = nodes.select("node", "t").join(found.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
     by_set = ts.stored(by_set.select(F.col("node.s").alias("_s"), F.col("t").alias("_t"), F.coalesce("group", "node")["d"].alias("component")), "components")

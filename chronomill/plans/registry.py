@@ -239,7 +239,9 @@ def example_sql(keys: str, last: int = 100) -> str:
     return f"WITH k AS ({keys}) SELECT s_suppkey AS x, g.j AS start_t, false AS start_open, least(g.j + 1, {last})::BIGINT AS end_t, false AS end_open FROM k CROSS JOIN (SELECT unnest(generate_series(0, {last}, 10))::BIGINT AS j) g"
 
 
-_X = F.col("a0").cast("long").alias("x")
+def _x():
+    return F.col("a0").cast("long").alias("x")
+
 _BEFORE = "SELECT s_suppkey FROM supplier WHERE s_suppkey < (SELECT max(s_suppkey) FROM supplier)"
 _AFTER = "SELECT s_suppkey FROM supplier WHERE s_suppkey > (SELECT min(s_suppkey) FROM supplier)"
 
@@ -247,17 +249,17 @@ _AFTER = "SELECT s_suppkey FROM supplier WHERE s_suppkey > (SELECT min(s_suppkey
 @query(example_sql(_BEFORE))
 def horizon_wex(spark, sf_dir):
     w = wl.example(spark, sf_dir)
-    return shown(iv.clipped(horizon_model(w.program, w.explicit, -100, 200, lambda d: stored(d, "horizon")), -100, 200), _X)
+    return shown(iv.clipped(horizon_model(w.program, w.explicit, -100, 200, lambda d: stored(d, "horizon")), -100, 200), _x())
 
 
 @query(example_sql(_BEFORE))
 def rebuild_wex(spark, sf_dir):
-    return shown(pr.expanded(wl.built(spark, sf_dir, "example")[1], -100, 200), _X)
+    return shown(pr.expanded(wl.built(spark, sf_dir, "example")[1], -100, 200), _x())
 
 
 @query(example_sql(_BEFORE, 1000).replace("least(g.j + 1, 1000)", "g.j + 1").replace("generate_series(0, 1000, 10)", "generate_series(900, 990, 10)"))
 def expand_window(spark, sf_dir):
-    return shown(pr.expanded(wl.built(spark, sf_dir, "example")[1], 1800, 1998), _X)
+    return shown(pr.expanded(wl.built(spark, sf_dir, "example")[1], 1800, 1998), _x())
 
 
 @query("SELECT 'right' AS side, 10::BIGINT AS length, 11 AS depth")
@@ -276,21 +278,21 @@ def example_changes(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
 def maintain_wex(spark, sf_dir):
     w, pm = wl.built(spark, sf_dir, "example")
     _, out, _ = mt.maintain(w.program, w.explicit, pm, *example_changes(spark, sf_dir))
-    return shown(pr.expanded(out, -100, 200), _X)
+    return shown(pr.expanded(out, -100, 200), _x())
 
 
 @query(example_sql("SELECT min(s_suppkey) AS s_suppkey FROM supplier"))
 def retract_wex(spark, sf_dir):
     w, pm = wl.built(spark, sf_dir, "example")
     gone = mt.retract(w.program, pm, example_changes(spark, sf_dir)[0], bounds(w.explicit), mt.Options(), mt.StageStats())
-    return shown(pr.expanded(gone, -100, 200), _X)
+    return shown(pr.expanded(gone, -100, 200), _x())
 
 
 @query(example_sql("SELECT max(s_suppkey) AS s_suppkey FROM supplier"))
 def extend_wex(spark, sf_dir):
     w, pm = wl.built(spark, sf_dir, "example")
     new = mt.extend(w.program, pm, mt.bounded(example_changes(spark, sf_dir)[1]), bounds(w.explicit), mt.Options(), mt.StageStats())
-    return shown(pr.expanded(new, -100, 200), _X)
+    return shown(pr.expanded(new, -100, 200), _x())
 
 
 def _small_models(spark) -> tuple[pr.PeriodicModel, pr.PeriodicModel]:
@@ -307,12 +309,12 @@ _POINTS = "SELECT x, t AS start_t, false AS start_open, t AS end_t, false AS end
 
 @query(_POINTS + f"({_TWO} UNION {_THREE})")
 def pm_union(spark, sf_dir):
-    return shown(pr.expanded(pr.pm_union(*_small_models(spark)), 0, 400), _X)
+    return shown(pr.expanded(pr.pm_union(*_small_models(spark)), 0, 400), _x())
 
 
 @query(_POINTS + f"({_TWO} EXCEPT {_THREE})")
 def pm_minus(spark, sf_dir):
-    return shown(pr.expanded(pr.pm_minus(*_small_models(spark)), 0, 400), _X)
+    return shown(pr.expanded(pr.pm_minus(*_small_models(spark)), 0, 400), _x())
 
 
 @query("SELECT 6::BIGINT AS length")
@@ -354,7 +356,7 @@ _FAULT_LEFT = sql_swept(_A70, drawn_sql("above70", "u, c", _A70, "100"), "minus"
 
 @query(fault_sql(_ABOVE70))
 def rebuild_wfault(spark, sf_dir):
-    return derived(wl.built(spark, sf_dir, "fault")[1], ("fault",), _X)
+    return derived(wl.built(spark, sf_dir, "fault")[1], ("fault",), _x())
 
 
 def _updated(spark, sf_dir, name: str, k=None, frac=None, insert=False, options=None) -> tuple[wl.Workload, pr.PeriodicModel, mt.UpdateStats]:
@@ -370,12 +372,12 @@ def _updated(spark, sf_dir, name: str, k=None, frac=None, insert=False, options=
 
 @query(fault_sql(_FAULT_LEFT))
 def maintain_wfault_del(spark, sf_dir):
-    return derived(_updated(spark, sf_dir, "fault", 100)[1], ("fault",), _X)
+    return derived(_updated(spark, sf_dir, "fault", 100)[1], ("fault",), _x())
 
 
 @query(fault_sql(_ABOVE70))
 def maintain_wfault_ins(spark, sf_dir):
-    return derived(_updated(spark, sf_dir, "fault", 100, insert=True)[1], ("fault",), _X)
+    return derived(_updated(spark, sf_dir, "fault", 100, insert=True)[1], ("fault",), _x())
 
 
 def meteo_left(k: str) -> str:
@@ -468,7 +470,7 @@ def generated_sql(removed: str = "") -> str:
 
 def _days(pm: pr.PeriodicModel) -> DataFrame:
     out = pr.expanded(pm, -20, 239).filter(F.col("pred").startswith("g"))
-    return shown(out, "pred", _X)
+    return shown(out, "pred", _x())
 
 
 @query(generated_sql())
@@ -507,7 +509,7 @@ _ANSWERED = f"(SELECT x, lo, hi FROM asst UNION ALL SELECT a.x, greatest(a.lo -
 @query(f"WITH {_TURNS} " + sql_shown(sql_coalesced(_ANSWERED, "x"), "x"))
 def until_wconv(spark, sf_dir):
     w = wl.talk(spark, sf_dir)
-    return shown(Evaluator(w.program).applied(iv.coalesced(w.explicit, ATOM)).filter("pred = 'answered'"), _X)
+    return shown(Evaluator(w.program).applied(iv.coalesced(w.explicit, ATOM)).filter("pred = 'answered'"), _x())
 
 
 # Mildly recursive rules: the plain joins and every temporal family.
@@ -547,7 +549,7 @@ TRADE_SHOWN = "bought_from imports warm active soon".split() + [f"{p}_{k}" for p
 
 def _traded(pm: pr.PeriodicModel) -> DataFrame:
     y = F.when(F.col("a1") == "", F.lit(-1).cast("long")).otherwise(F.expr("try_cast(a1 AS BIGINT)"))
-    return derived(pm, tuple(TRADE_SHOWN), "pred", _X, y.alias("y"))
+    return derived(pm, tuple(TRADE_SHOWN), "pred", _x(), y.alias("y"))
 
 
 @query(trade_sql())
@@ -589,7 +591,7 @@ def maintain_wuni_del10pct(spark, sf_dir):
 @query(f"WITH {_METEO_FACTS} SELECT u AS x, lo, hi FROM {drawn_sql('reading_hi', 'u', 'hi', '100')}")
 def draw_update(spark, sf_dir):
     w = wl.built(spark, sf_dir, "meteo")[0]
-    return wl.draws(spark, w, 100).select(_X, "lo", "hi")
+    return wl.draws(spark, w, 100).select(_x(), "lo", "hi")
 
 
 @query(f"WITH {VIEWS} " + sql_shown(f"(SELECT 'added' AS part, u, lo, hi FROM {sql_swept('b', 'a', 'minus', 'u')} UNION ALL SELECT 'removed', u, lo, hi FROM {sql_swept(sql_swept('(SELECT u, lo, hi - 86400 AS hi FROM a)', 'b', 'minus', 'u'), 'a', 'intersect', 'u')})", "part, u"))

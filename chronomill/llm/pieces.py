@@ -3,8 +3,9 @@
 Encoding keeps an agenda of adjacent symbol pairs ordered by the score of the joined piece, then by place; it takes
 the best pair, joins it and adds the pairs that this makes. Symbols without a piece become byte pieces. A text is cut
 beforehand where no piece of the vocabulary can span: between any sign and a following blank, and around line ends.
-Each distinct cut is encoded once and remembered, up to a cap on memory. Cuts not met before are compared with the
-sentencepiece library in one call for each Arrow batch, and one whole document of each batch is; a difference raises.
+Each distinct cut is encoded once and remembered in two generations of at most `REMEMBERED` cuts; the older one goes when
+the younger is full. Cuts not met before are compared with the sentencepiece library in one call for each Arrow batch,
+and one whole document of each batch is; a difference raises.
 
 Edge cases: null texts count as empty; empty texts have no ids and decode to the empty text; repeated rows get equal
 results; very long cuts are encoded without being remembered; further columns are ignored.
@@ -14,7 +15,7 @@ from __future__ import annotations
 
 import hashlib
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from heapq import heapify, heappop, heappush
 
 import pyarrow as pa
@@ -24,10 +25,30 @@ from pyspark.sql import functions as F
 from sentencepiece import sentencepiece_model_pb2
 
 BLANK = "▁"
-REMEMBERED = 400_000
+REMEMBERED = 500_000
 LONGEST_REMEMBERED = 64
 
 
+class Remembered(dict):
+    """Ids of cuts as decimals joined by commas; `make` gives those not met before and says whether to remember them."""
+
+    def __init__(self, make: Callable[[str], tuple[str, bool]]) -> None:
+        super().__init__()
+        self.make = make
+        self.older: dict[str, str] = {}
+
+    def __missing__(self, cut: str) -> str:
+        csv, keep = self.older.get(cut), True
+        if csv is None:
+            csv, keep = self.make(cut)
+        if keep:
+            if len(self) >= REMEMBERED:
+                self.older = dict(self)
+                self.clear()
+            self[cut] = csv
+        return csv
+
+
 class PieceModel:
     """A vocabulary read from a model file (byte fallback, no normalisation, blank put before the text)."""
 
@@ -50,8 +71,10 @@ class PieceModel:
             raise ValueError("the vocabulary has pieces that span blanks or line ends")
         self.cuts = re.compile(f"[ {BLANK}]+[^ {BLANK}\n]*|[^ {BLANK}\n]+|\n")
         self.library = sentencepiece.SentencePieceProcessor(model_file=path)
-        self.known: dict[str, tuple[str, int, str]] = {}
-        self.fresh: list[tuple[str, tuple[int, ...]]] = []
+        self.known = Remembered(self._cut)
+        self.fresh: list[tuple[str, list[int]]] = []
+        #: Cuts of the current text that do not decode to themselves; these are never remembered.
+        self.changed: dict[str, str] = {}
 
     def merge(self, cut: str) -> list[int]:
         """Ids of a cut, in which blanks are written as BLANK."""
@@ -102,23 +125,24 @@ class PieceModel:
         out.append(pending.decode(errors="replace"))
         return "".join(out).replace(BLANK, " ")
 
-    def _cut(self, cut: str) -> tuple[str, int, str]:
+    def _cut(self, cut: str) -> tuple[str, bool]:
         ids = self.merge(cut.replace(" ", BLANK))
-        self.fresh.append((cut, tuple(ids)))
-        got = (",".join(map(str, ids)), len(ids), self.decode(ids, first=False))
-        if len(cut) <= LONGEST_REMEMBERED:
-            if len(self.known) >= REMEMBERED:
-                self.known.clear()
-            self.known[cut] = got
-        return got
+        self.fresh.append((cut, ids))
+        decoded = self.decode(ids, first=False)
+        if decoded != cut:
+            self.changed[cut] = decoded
+        return ",".join(map(str, ids)), decoded == cut and len(cut) <= LONGEST_REMEMBERED
 
     def encode(self, text: str) -> tuple[str, int, str]:
         """Ids as decimals joined by commas, their number, and the decoded text."""
         if not text:
             return "", 0, ""
-        known, make = self.known, self._cut
-        got = [known.get(c) or make(c) for c in self.cuts.findall(" " + text)]
-        return ",".join([g[0] for g in got]), sum([g[1] for g in got]), "".join([g[2] for g in got])[1:]
+        self.changed = changed = {}
+        cuts = self.cuts.findall(" " + text)
+        csv = ",".join(map(self.known.__getitem__, cuts))
+        # Joined cuts are the text, so it only is put together anew where a cut decodes to something else.
+        decoded = "".join([changed.get(c, c) for c in cuts])[1:] if changed else text
+        return csv, csv.count(",") + 1, decoded
 
     def confirm(self, texts: list[str]) -> None:
         """Compare cuts encoded since the last call, and whole texts, with the library."""
@@ -126,7 +150,7 @@ class PieceModel:
         # A cut that opens with a blank stands for itself; others are asked for behind a line end.
         asked = [c[1:] if c[0] in (" ", BLANK) and len(c) > 1 else "\n" + c for c, _ in fresh]
         for (cut, ids), said, q in zip(fresh, self.library.encode(asked, num_threads=1) if asked else [], asked, strict=True):
-            if ids != tuple(said[2:] if q[0] == "\n" and len(q) == len(cut) + 1 else said):
+            if ids != (said[2:] if q[0] == "\n" and len(q) == len(cut) + 1 else said):
                 raise ValueError(f"ids differ from the library's for {cut[:80]!r}")
         for t in texts:
             said = self.library.encode(t, num_threads=1)

@@ -1,10 +1,13 @@
 """Deletion of line runs that repeat earlier text (DataFrame functions only).
 
-Lines with a word are hashed. The lines that begin within `MIN_WORDS` words form a line's window; of each window that
-has at least that many words, the least line hash (the last one among equals) is its fingerprint, so any run of that
-many words, wherever it occurs, leaves the same fingerprints with the same windows. Fingerprints of equal windows are
-joined with their earliest occurrence, matches are extended both ways while lines agree, and the lines of the later
-run are deleted. The order is that of document ids, then of lines.
+Lines with a word are hashed. A line is deleted if it lies in a run of lines with `MIN_WORDS` words or more that stands
+somewhere before (in the order of document ids, then of lines). Of all such runs those suffice that begin at a line and
+end where the words are reached, or later as long as the run without its first line has too few words: in any longer
+run each line lies in one of these. Their number is in proportion to the text. Equal runs are joined with their earliest
+occurrence, so every earlier occurrence and lines of any length count (`every=True`, used by the query and the pipeline).
+
+Without `every`, only the earliest occurrence of each line's window (the lines that begin within `MIN_WORDS` words) is
+compared, and matches are extended both ways over lines that begin within twice as many words.
 
 Edge cases: null texts stay null and empty ones empty; lines without a word are kept and do not break runs; rows with
 equal id and text are one document; null ids come first; a document may lose all its lines and stays with what is
@@ -68,9 +71,34 @@ def repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     return later.select(*DOC, F.explode(gone).alias("line")).groupBy(*DOC).agg(F.sort_array(F.collect_set("line.place")).alias("_ld_gone"))
 
 
-def without_repeats(docs: DataFrame, min_words: int = MIN_WORDS, keep_places: bool = False) -> DataFrame:
+def runs(rows: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """Runs that begin at a line, have min_words words and, but for the shortest, fewer without that line: their identity and places."""
+    order = Window.partitionBy(*DOC).orderBy("place")
+    placed = rows.withColumn("before", F.coalesce(F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long"))
+    start = Window.partitionBy(*DOC).orderBy("before")
+    own = start.rangeBetween(0, min_words - 1)
+    opened = placed.withColumn("own", F.collect_list(F.struct("h", "place")).over(own)).withColumn("words", F.sum("n").over(own))
+    # What begins within min_words words of the next line is as far as a run without this line has too few words.
+    reached = opened.withColumn("next", F.lead("own").over(start)).filter(F.col("words") >= min_words)
+    spread = reached.select(*DOC, "place", F.concat(F.slice("own", 1, 1), F.coalesce("next", F.slice("own", 1, 0))).alias("run"), F.size("own").alias("least"))
+    each = spread.select(*DOC, "place", "run", F.explode(F.sequence("least", F.greatest("least", F.size("run")))).alias("length"))
+    cut = each.select(*DOC, "place", F.slice("run", F.lit(1), F.col("length")).alias("run"))
+    return cut.select(*DOC, "place", F.array_min("run.h").alias("print"), F.xxhash64("run.h").alias("identity"), F.col("run.place").alias("places"))
+
+
+def all_repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """Like repeats, for runs that repeat any earlier run."""
+    found = ts.stored(runs(lines(docs), min_words), "runs")
+    where = F.struct(*DOC, "place")
+    first = found.groupBy("print", "identity").agg(F.min(where).alias("first"), F.count(F.lit(1)).alias("times")).filter("times > 1").drop("times")
+    first = ts.stored(first, "first").withColumnRenamed("print", "p").withColumnRenamed("identity", "q")
+    later = found.join(first, (F.col("print") == F.col("p")) & (F.col("identity") == F.col("q"))).filter(where > F.col("first"))
+    return later.select(*DOC, F.explode("places").alias("line")).groupBy(*DOC).agg(F.sort_array(F.collect_set("line")).alias("_ld_gone"))
+
+
+def without_repeats(docs: DataFrame, min_words: int = MIN_WORDS, keep_places: bool = False, every: bool = False) -> DataFrame:
     """docs with later repeated runs taken out of text; keep_places adds removed_lines array<int> and n_lines."""
-    found = repeats(docs, min_words)
+    found = all_repeats(docs, min_words) if every else repeats(docs, min_words)
     joined = _keyed(docs).join(found, DOC, "left")
     kept = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains("_ld_gone", i))
     text = F.when(F.col("_ld_gone").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))

@@ -19,7 +19,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without later repeated runs of lines; n_chars follows the text."""
-    cleaned = linedup.without_repeats(docs)
+    cleaned = linedup.without_repeats(docs, every=True)
     n_chars = F.length("text").cast("long")
     return cleaned.select(*[n_chars.alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
 

@@ -116,6 +116,34 @@ def test_line_runs_match_brute_force(spark):
     assert {k: v for k, v in got.items() if v} == {k: v for k, v in brute_lines(rows).items() if v}
 
 
+def brute_runs(rows, least=50):
+    """Places in any run of at least `least` words that stands before: all runs of each document are tried."""
+    seen, gone = set(), {}
+    for i, t in sorted(rows):
+        ls = [x for x in enumerate((t or "").split("\n")) if x[1].split()]
+        for a in range(len(ls)):
+            for b in range(a + 1, len(ls) + 1):
+                key = tuple(x for _, x in ls[a:b])
+                if sum(len(x.split()) for x in key) >= least:
+                    if key in seen:
+                        gone.setdefault(i, set()).update(p for p, _ in ls[a:b])
+                    seen.add(key)
+    return gone
+
+
+def test_short_end_after_a_long_line_goes(spark):
+    long, end = " ".join(f"w{i}" for i in range(150)), "a short end"
+    rows = [(1, long), (2, f"{long}\n{end}"), (3, f"{long}\n\n{end}\nown"), (4, f"{end}\nown")]
+    rng = random.Random(33)
+    lines = [" ".join(f"v{rng.randrange(9)}" for _ in range(rng.choice((1, 8, 30, 49, 50, 120, 150)))) for _ in range(14)]
+    rows += [(10 + i, "\n".join(rng.choice([*lines, "", f"own {i} {j}"]) for j in range(12))) for i in range(30)]
+    got = {r["doc_id"]: set(r["removed_lines"]) for r in linedup.without_repeats(docs(spark, rows), keep_places=True, every=True).collect()}
+    assert (got[1], got[2], got[3], got[4]) == (set(), {0}, {0, 2}, set())
+    assert {k: v for k, v in got.items() if v} == brute_runs(rows)
+    odd = linedup.without_repeats(docs(spark, ODD), every=True).collect()
+    assert sorted((r["doc_id"] or -1, r["text"] or "") for r in odd) == sorted((i or -1, t or "") for i, t in ODD)
+
+
 def test_line_dedup_on_odd_rows(spark):
     df = docs(spark, ODD)
     out = linedup.without_repeats(df)

@@ -1,6 +1,7 @@
 """Replacement of personal data and secrets by keyed surrogates (DataFrame functions only).
 
-Entities are found by patterns: e-mail addresses, access keys, assigned secrets, card numbers, IPv4 addresses, phone
+Entities are found by patterns: e-mail addresses, access keys, assigned secrets (also with blanks around the sign or
+with quotes, which stay outside the value, and with a keyword in any case that is part of a longer word), card numbers, IPv4 addresses, phone
 numbers, and person names after a title or with a known given name. Each is rewritten by a keyed permutation of the
 values of its own format: letters stay letters of the same script and case, digits digits; separators, country codes,
 card issuers, top-level domains and titles stay; card check digits stay right if they were; given names of the lists
@@ -36,14 +37,16 @@ _GIVEN = "|".join(n for names in NAME_LISTS for n in names)
 _NAME = r"\p{Lu}\p{Ll}+(?:-\p{Lu}\p{Ll}+)?"
 EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+"
 KEY = r"\bAKIA[0-9A-Z]{16}\b"
-SECRET = r"\b(?:password|passwd|pwd|secret|token|api_key)[=:][^\s,;]+"
+#: From the keyword on (what precedes it in its word stays outside): the rest of the word, the sign, and the value with or without quotes.
+_ASSIGN = r"[\w-]{0,40}[\"']?[ \t]{0,8}(?::=|=>|[=:])[ \t]{0,8}"
+SECRET = rf"(?i:password|passwd|pwd|secret|token|api[_-]?key){_ASSIGN}(?:\"[^\"\n]+\"|'[^'\n]+'|[\"']?[^\s,;\"'][^\s,;]*)"
 IP = r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?![\d]|\.\d)"
 CARD = r"(?<![\d-])\d(?:[ -]?\d){12,18}(?![\d-])"
 PHONE = r"(?:\+\d{1,3}[ .-]?)?\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}\b|\+\d{1,3}(?:[ .-]?\d{2,4}){2,4}\b"
 PERSON = rf"\b(?:(?:{'|'.join(TITLES)})\.? {_NAME}(?: {_NAME})?|(?:{_GIVEN}) {_NAME})"
 ENTITY = f"{EMAIL}|{KEY}|{SECRET}|{IP}|{CARD}|{PHONE}|{PERSON}"
 #: A cheap test that every text with an entity passes.
-HINT = rf"@|\d{{2}}|\d\.\d|[=:]\S|\b(?:{'|'.join(TITLES)})\b|\b(?:{_GIVEN})\b"
+HINT = rf"@|\d{{2}}|\d\.\d|AKIA|(?i:passw|pwd|secret|token|api[_-]?key)|\b(?:{'|'.join(TITLES)})\b|\b(?:{_GIVEN})\b"
 
 ROUNDS = 4
 
@@ -52,7 +55,7 @@ def kind(e: Column) -> Column:
     """Name of an entity's format."""
     full = lambda p: e.rlike(f"^(?:{p})$")
     return (
-        F.when(e.contains("@"), "email").when(full(KEY), "key").when(full(SECRET), "secret").when(full(IP), "ip")
+        F.when(full(SECRET), "secret").when(e.contains("@"), "email").when(full(KEY), "key").when(full(IP), "ip")
         .when(full(CARD), "card").when(full(PHONE), "phone").otherwise("person")
     )
 
@@ -149,12 +152,12 @@ def surrogate(e: Column, key: Column) -> Column:
     before = lambda p: F.regexp_extract(e, p, 1)
     after = lambda p: F.regexp_extract(e, p, 2)
     email, code = r"(?s)^(.*)(\.[^.]*)$", r"^(\+\d{1,3}(?=[ .(-])|)(.*)$"
-    secret = r"(?s)^(.*?[=:])(.*)$"
+    secret = rf"^((?i:password|passwd|pwd|secret|token|api[_-]?key){_ASSIGN}[\"']?)(.*?)([\"']?)$"
     value = after(secret)
     return _let(kind(e), lambda k: (
         F.when(k == "email", F.concat(_rewritten(before(email), PLAIN, F.concat(key, k)), after(email)))
         .when(k == "key", F.concat(F.substring(e, 1, 4), _rewritten(F.substring(e, 5, 16), PLAIN, F.concat(key, k))))
-        .when(k == "secret", F.concat(before(secret), F.when(value.rlike("^[0-9a-f]+$"), _rewritten(value, HEX, F.concat(key, k))).otherwise(_rewritten(value, PLAIN, F.concat(key, k)))))
+        .when(k == "secret", F.concat(before(secret), F.when(value.rlike("^[0-9a-f]+$"), _rewritten(value, HEX, F.concat(key, k))).otherwise(_rewritten(value, PLAIN, F.concat(key, k))), F.regexp_extract(e, secret, 3)))
         .when(k == "ip", _ip(e, F.concat(key, k)))
         .when(k == "card", _card(e, F.concat(key, k)))
         .when(k == "phone", F.concat(before(code), _rewritten(after(code), PLAIN[:1], F.concat(key, k))))

@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import re
 
 import numpy as np
 import pyarrow as pa
@@ -355,6 +356,31 @@ def test_surrogates(spark):
     assert {(r["doc_id"], r["text"]) for r in got if r["doc_id"] not in (20, 21)} == {(i, t) for i, t in rows if i not in (20, 21)}
 
 
+def test_assigned_secrets(spark):
+    value = "0123abcd" * 5
+    forms = ["token = X", 'TOKEN = "X"', "my_token: 'X'", '{"api_key": "X"}', "Password:X", "DB_PASSWORD_2 := X", "secretValue => 'X'", "api-key=X,"]
+    rows = [(i, f.replace("X", value)) for i, f in enumerate(forms)] + [(20, 'pwd = "two words"'), (21, "password=p@ss"), (22, "the secret of it: none"), (23, "a token")]
+    got = {r["doc_id"]: r for r in surrogates.replaced(docs(spark, rows), "k", with_entities=True).collect()}
+    new = {got[i]["text"] for i in range(len(forms))}
+    hidden = got[0]["text"].removeprefix("token = ")
+    assert len(hidden) == 40 and hidden != value
+    assert new == {f.replace("X", hidden) for f in forms}
+    assert all([e["kind"] for e in got[i]["entities"]] == ["secret"] for i in (*range(len(forms)), 20, 21))
+    assert re.fullmatch(r'pwd = "[a-z]{3} [a-z]{5}"', got[20]["text"]) and "two" not in got[20]["text"]
+    assert re.fullmatch(r"password=[a-z]@[a-z]{2}", got[21]["text"])
+    assert (got[22]["text"], got[23]["text"]) == ("the secret of it: none", "a token")
+
+
+def test_planted_secrets_of_the_tables_go(spark):
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").filter("text is not null")
+    planted = [v for r in df.collect() for v in re.findall(r'(?i)token\s*=\s*"([0-9a-f]{40})"', r["text"])]
+    assert len(planted) == 13
+    out = surrogates.replaced(df, "k", with_entities=True).select("text", "entities").collect()
+    texts = "\n".join(r["text"] for r in out)
+    assert not [v for v in planted if v in texts]
+    assert sum(e["kind"] == "secret" and any(v in e["entity"] for v in planted) for r in out for e in r["entities"]) == len(planted)
+
+
 def test_permutation_is_one_to_one(spark):
     df = spark.range(1000).select(F.format_string("%03d", F.col("id")).alias("e"))
     out = df.select(surrogates._rewritten(F.col("e"), surrogates.PLAIN, F.lit("k")).alias("s"))

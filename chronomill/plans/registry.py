@@ -131,8 +131,14 @@ def interval_join(spark, sf_dir):
 
 @query("SELECT o_custkey AS c, l_orderkey AS o, l_linenumber AS line, date_diff('day', DATE '1970-01-01', l_shipdate::DATE)::BIGINT AS ship, (SELECT max(date_diff('day', DATE '1970-01-01', p.o_orderdate::DATE)) FROM orders p WHERE p.o_custkey = q.o_custkey AND p.o_orderdate::DATE <= l.l_shipdate::DATE)::BIGINT AS last_order FROM lineitem l JOIN orders q ON l_orderkey = o_orderkey WHERE l_linenumber = 1")
 def as_of_orders(spark, sf_dir):
+    """The first line of each order, as the SQL has it; as_of_lines takes every line."""
+    return as_of_lines(spark, sf_dir).filter("line = 1")
+
+
+@query("WITH q AS (SELECT o_custkey AS c, l_orderkey AS o, l_linenumber AS line, l_shipdate::DATE AS d FROM lineitem JOIN orders ON l_orderkey = o_orderkey), v AS (SELECT DISTINCT o_custkey AS c, o_orderdate::DATE AS d FROM orders) SELECT q.c, q.o, q.line, date_diff('day', DATE '1970-01-01', q.d)::BIGINT AS ship, date_diff('day', DATE '1970-01-01', v.d)::BIGINT AS last_order FROM q ASOF LEFT JOIN v ON q.c = v.c AND q.d >= v.d")
+def as_of_lines(spark, sf_dir):
     orders = wl.table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c"), F.col("o_orderkey").alias("o"), wl.ticks.days(F.col("o_orderdate")).alias("at"))
-    lines = wl.table(spark, sf_dir, "lineitem").filter("l_linenumber = 1").select(F.col("l_orderkey").alias("o"), F.col("l_linenumber").alias("line"), wl.ticks.days(F.col("l_shipdate")).alias("at"))
+    lines = wl.table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("o"), F.col("l_linenumber").alias("line"), wl.ticks.days(F.col("l_shipdate")).alias("at"))
     probes = lines.join(orders.select("o", "c"), "o")
     values = orders.select("c", "at", F.col("at").alias("last_order"))
     return iv.as_of(values, probes, ["c"], "last_order").select("c", "o", "line", F.col("at").alias("ship"), "last_order")

@@ -1,9 +1,33 @@
 """Queries over whole tables, on small tables of their own."""
 
+import datetime as dt
+
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 
+DAY0 = dt.date(2024, 1, 1)
+
+
+def written(spark, path, **tables):
+    for name, (schema, rows) in tables.items():
+        spark.createDataFrame(rows, schema).write.parquet(f"{path}/{name}.parquet")
+    return str(path)
+
+
+def test_reach_has_paths_of_any_length(spark, tmp_path):
+    n = 12
+    sf = written(
+        spark,
+        tmp_path,
+        orders=("o_orderkey int, o_custkey int, o_orderdate date", [(i, i, DAY0) for i in range(n)]),
+        customer=("c_custkey int, c_nationkey int", [(i, i) for i in range(n)]),
+        supplier=("s_suppkey int, s_nationkey int", [(i, i) for i in range(n + 1)]),
+        lineitem=("l_orderkey int, l_suppkey int, l_shipdate date", [(i, i + 1, DAY0) for i in range(n)]),
+    )
+    got = [tuple(r) for r in entry.queries()["recursive_reach"](spark, sf).select("n", "m").collect()]
+    assert sorted(got) == [(a, b) for a in range(n) for b in range(a + 1, n + 1)]
+
 
 def test_as_of_takes_every_line(spark):
     sf = "/root/testdata/sf0.001"

@@ -1,22 +1,27 @@
-"""Deletion of line runs that repeat earlier text (DataFrame functions only).
+"""Deletion of line runs that repeat earlier text, by winnowing over line hashes (DataFrame functions only).
 
 Lines with a word are hashed. A line is deleted if it lies in a run of lines with `MIN_WORDS` words or more that stands
-somewhere before (in the order of document ids, then of lines). Of all such runs those suffice that begin at a line and
-end where the words are reached, or later as long as the run without its first line has too few words: in any longer
-run each line lies in one of these. Their number is in proportion to the text. Equal runs are joined with their earliest
-occurrence, so every earlier occurrence and lines of any length count (`every=True`, used by the query and the pipeline).
+somewhere before (in the order of document ids, then of lines).
 
-Without `every`, only the earliest occurrence of each line's window (the lines that begin within `MIN_WORDS` words) is
-compared, and matches are extended both ways over lines that begin within twice as many words.
+Fingerprints: the window of a line is the shortest run from it on with `MIN_WORDS` words; the least line hash of each
+window is selected (the last place among equals), so neighbouring windows mostly select the same line. Two equal runs of
+`MIN_WORDS` words begin with equal windows and so share a fingerprint. Fingerprints that occur once are done with.
+
+Matches: positions of the others are extended both ways, to the shortest runs forward from a line and backward to a line
+that contain them and have enough words. Such a run is joined with its earliest occurrence by the hash of its lines; a
+later one is deleted. In any longer repeated run each line lies in one of these, whatever the lengths of its lines: the
+run forward from a line if it ends within, else the one backward to it, else the one forward from the first line. So the
+length of matches is not bounded, and every earlier occurrence counts.
 
 Edge cases: null texts stay null and empty ones empty; lines without a word are kept and do not break runs; rows with
 equal id and text are one document; null ids come first; a document may lose all its lines and stays with what is
-left; all columns pass (names with a leading _ld_ are used inside).
+left; equal hashes of two different runs (64 and 32 bits) are taken for equal runs; all columns pass (names with a
+leading _ld_ are used inside; of columns called removed_lines and n_lines the operator's own replace those of the input).
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textscan as ts
@@ -37,72 +42,68 @@ def lines(docs: DataFrame) -> DataFrame:
     return counted.repartition(*DOC).dropDuplicates([*DOC, "place"])
 
 
-def windows(rows: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """Windows with at least min_words words: their fingerprint, identity, and the lines around them."""
-    order = Window.partitionBy(*DOC).orderBy("place")
-    placed = rows.withColumn("before", F.coalesce(F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("int"))
-    start = Window.partitionBy(*DOC).orderBy("before")
-    own, wide, back = start.rangeBetween(0, min_words - 1), start.rangeBetween(0, 2 * min_words), start.rangeBetween(-2 * min_words, -1)
-    found = placed.select(
-        *DOC, "place", F.sum("n").over(own).alias("words"), F.collect_list("h").over(own).alias("window"), F.min(F.struct("h", -F.col("place"))).over(own).alias("least"),
-        F.collect_list(F.struct("h", "place")).over(wide).alias("ahead"), F.collect_list(F.struct("h", "place")).over(back).alias("behind"),
-    )
-    identity = F.xxhash64("window", "words")
-    return found.filter(F.col("words") >= min_words).select(*DOC, "place", F.col("least.h").alias("print"), identity.alias("identity"), F.size("window").alias("length"), "ahead", "behind")
+def _forward(min_words: int):
+    """From a line to where its window has enough words (over `before`, the words before a line)."""
+    return Window.partitionBy(*DOC).orderBy("before").rangeBetween(0, min_words - 1)
+
+
+def _counted(rows: DataFrame) -> DataFrame:
+    before = F.coalesce(F.sum("n").over(Window.partitionBy(*DOC).orderBy("place").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return rows.withColumn("before", before.cast("long"))
+
+
+def fingerprints(rows: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """Selected lines: document, place and hash of the least line of each window with min_words words."""
+    own = _forward(min_words)
+    found = _counted(rows).select(*DOC, F.sum("n").over(own).alias("words"), F.min(F.struct("h", -F.col("place"))).over(own).alias("least"))
+    return found.filter(F.col("words") >= min_words).select(*DOC, (-F.col("least.col2")).alias("place"), F.col("least.h").alias("h")).distinct()
+
+
+def runs(rows: DataFrame, positions: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """Shortest runs forward from and backward to a line, with min_words words and a line in positions (document,
+    place): first and last place, and two hashes of the lines."""
+    within = rows.join(positions.select(*DOC).distinct(), DOC, "left_semi")
+    marked = within.withColumn("mark", F.lit(0)).unionByName(positions.select(*DOC, "place", F.lit(None).cast("long").alias("h"), F.lit(0).alias("n"), F.lit(1).alias("mark")))
+    here = Window.partitionBy(*DOC).orderBy("place").rangeBetween(0, 0)
+    placed = _counted(marked.withColumn("mark", F.max("mark").over(here)).filter("n > 0")).withColumn("after", F.col("before") + F.col("n"))
+    ahead, back = _forward(min_words), Window.partitionBy(*DOC).orderBy("after").rangeBetween(1 - min_words, 0)
 
+    def run(w) -> F.Column:
+        return F.struct(F.min("place").over(w).alias("a"), F.max("place").over(w).alias("b"), F.sum("n").over(w).alias("words"), F.max("mark").over(w).alias("mark"), F.collect_list("h").over(w).alias("hashes"))
 
-def _common(a: Column, b: Column) -> Column:
-    """Length of the common beginning of two arrays of lines."""
-    same = F.zip_with(a, b, lambda x, y: F.coalesce(x["h"] == y["h"], F.lit(False)))
-    first_off = F.array_position(same, F.lit(False))
-    return F.when(first_off == 0, F.size(same)).otherwise(first_off - 1).cast("int")
+    both = placed.select(*DOC, run(ahead).alias("f"), run(back).alias("g")).select(*DOC, F.explode(F.array("f", "g")).alias("r"))
+    found = both.filter((F.col("r.words") >= min_words) & (F.col("r.mark") == 1))
+    return found.select(*DOC, "r.a", "r.b", F.xxhash64("r.hashes").alias("q"), F.hash("r.hashes").alias("q2"))
 
 
 def repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """Document and the places of its lines to delete, in order."""
-    found = ts.stored(windows(lines(docs), min_words), "windows")
-    where = F.struct(*DOC, "place", "ahead", "behind")
-    first = found.groupBy("print", "identity").agg(F.min(where).alias("first"), F.count(F.lit(1)).alias("times")).filter("times > 1").drop("times")
-    first = ts.stored(first, "first").withColumnRenamed("print", "p").withColumnRenamed("identity", "q")
-    later = found.join(first, (F.col("print") == F.col("p")) & (F.col("identity") == F.col("q"))).filter(F.struct(*DOC, "place") > F.struct(*[F.col(f"first.{c}") for c in (*DOC, "place")]))
-    forward = _common(F.col("ahead"), F.col("first.ahead"))
-    backward = _common(F.reverse("behind"), F.reverse(F.col("first.behind")))
-    gone = F.concat(F.slice("ahead", F.lit(1), F.greatest(forward, F.col("length"))), F.slice(F.reverse("behind"), F.lit(1), backward))
-    return later.select(*DOC, F.explode(gone).alias("line")).groupBy(*DOC).agg(F.sort_array(F.collect_set("line.place")).alias("_ld_gone"))
-
-
-def runs(rows: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """Runs that begin at a line, have min_words words and, but for the shortest, fewer without that line: their identity and places."""
-    order = Window.partitionBy(*DOC).orderBy("place")
-    placed = rows.withColumn("before", F.coalesce(F.sum("n").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long"))
-    start = Window.partitionBy(*DOC).orderBy("before")
-    own = start.rangeBetween(0, min_words - 1)
-    opened = placed.withColumn("own", F.collect_list(F.struct("h", "place")).over(own)).withColumn("words", F.sum("n").over(own))
-    # What begins within min_words words of the next line is as far as a run without this line has too few words.
-    reached = opened.withColumn("next", F.lead("own").over(start)).filter(F.col("words") >= min_words)
-    spread = reached.select(*DOC, "place", F.concat(F.slice("own", 1, 1), F.coalesce("next", F.slice("own", 1, 0))).alias("run"), F.size("own").alias("least"))
-    each = spread.select(*DOC, "place", "run", F.explode(F.sequence("least", F.greatest("least", F.size("run")))).alias("length"))
-    cut = each.select(*DOC, "place", F.slice("run", F.lit(1), F.col("length")).alias("run"))
-    return cut.select(*DOC, "place", F.array_min("run.h").alias("print"), F.xxhash64("run.h").alias("identity"), F.col("run.place").alias("places"))
-
-
-def all_repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """Like repeats, for runs that repeat any earlier run."""
-    found = ts.stored(runs(lines(docs), min_words), "runs")
-    where = F.struct(*DOC, "place")
-    first = found.groupBy("print", "identity").agg(F.min(where).alias("first"), F.count(F.lit(1)).alias("times")).filter("times > 1").drop("times")
-    first = ts.stored(first, "first").withColumnRenamed("print", "p").withColumnRenamed("identity", "q")
-    later = found.join(first, (F.col("print") == F.col("p")) & (F.col("identity") == F.col("q"))).filter(where > F.col("first"))
-    return later.select(*DOC, F.explode("places").alias("line")).groupBy(*DOC).agg(F.sort_array(F.collect_set("line")).alias("_ld_gone"))
-
-
-def without_repeats(docs: DataFrame, min_words: int = MIN_WORDS, keep_places: bool = False, every: bool = False) -> DataFrame:
+    rows = ts.stored(lines(docs), "lines")
+    prints = ts.stored(fingerprints(rows, min_words), "fingerprints")
+    total = prints.count()
+    again = prints.groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    found = ts.stored(runs(rows, ts.lookup(prints, again, ["h"], total).drop("n"), min_words), "runs")
+    first = found.groupBy("q", "q2").agg(F.min(F.struct(*DOC, "a")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    later = ts.lookup(found, first, ["q", "q2"], found.count()).filter(F.struct(*DOC, "a") > F.col("first"))
+    # Lines within a later run: those with an open run in the running sum of first and last places.
+    ends = F.array(F.struct(F.col("a").alias("place"), F.lit(1).alias("d")), F.struct((F.col("b") + 1).alias("place"), F.lit(-1).alias("d")))
+    steps = ts.stored(later.select(*DOC, F.explode(ends).alias("e")).groupBy(*DOC, "e.place").agg(F.sum("e.d").cast("int").alias("d")), "steps")
+    touched = rows.join(steps.select(*DOC).distinct(), DOC, "left_semi").select(*DOC, "place", F.lit(0).alias("d"), F.lit(True).alias("line"))
+    so_far = Window.partitionBy(*DOC).orderBy("place").rangeBetween(Window.unboundedPreceding, 0)
+    gone = touched.unionByName(steps.withColumn("line", F.lit(False))).withColumn("open", F.sum("d").over(so_far)).filter("line and open > 0")
+    return gone.groupBy(*DOC).agg(F.sort_array(F.collect_list("place")).alias("_ld_gone"))
+
+
+def without_repeats(docs: DataFrame, min_words: int = MIN_WORDS, keep_places: bool = False) -> DataFrame:
     """docs with later repeated runs taken out of text; keep_places adds removed_lines array<int> and n_lines."""
-    found = all_repeats(docs, min_words) if every else repeats(docs, min_words)
-    joined = _keyed(docs).join(found, DOC, "left")
-    kept = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains("_ld_gone", i))
+    joined = _keyed(docs).join(repeats(docs, min_words), DOC, "left")
+    # A flag for each line up to the last deleted one, so that a line is looked up by its place.
+    gaps = F.transform("_ld_gone", lambda p, i: F.concat(F.array_repeat(F.lit(False), p - F.when(i > 0, F.get("_ld_gone", i - 1)).otherwise(-1) - 1), F.array(F.lit(True))))
+    joined = joined.withColumn("_ld_flags", F.flatten(gaps))
+    kept = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.coalesce(F.get("_ld_flags", i), F.lit(False)))
     text = F.when(F.col("_ld_gone").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))
-    columns = [text.alias(c) if c == "text" else F.col(c) for c in docs.columns]
+    own = {"text": text}
     if keep_places:
-        columns += [F.coalesce("_ld_gone", F.array().cast("array<int>")).alias("removed_lines"), F.coalesce(F.size(F.split("text", "\n", -1)), F.lit(0)).alias("n_lines")]
-    return joined.select(*columns)
+        own |= {"removed_lines": F.coalesce("_ld_gone", F.array().cast("array<int>")), "n_lines": F.coalesce(F.size(F.split("text", "\n", -1)), F.lit(0))}
+    columns = [c for c in docs.columns if c == "text" or c not in own]
+    return joined.select(*[own[c].alias(c) if c in own else F.col(c) for c in [*columns, *[c for c in own if c != "text"]]])

@@ -5,11 +5,12 @@ minimum and the maximum, so the signature is twice as long as the hashing is cos
 `ROWS`. Documents with equal sets become one node. Nodes that share a band value are compared in rounds:
 
 1. each node with the chief of one of its band values (the node with the most company in all its band values), 2. with
-the chiefs of its others, if it is not in their group yet, 3. among the nodes of a chief that still are in several
-groups, every node outside the largest group with all nodes of other groups, in blocks. A comparison intersects the
-full sets; after each round links are joined into groups. Pairs that already are in one group need no comparison, so a
-family of n copies costs about n comparisons, and those that its chief does not link cost block products, which emit
-links only. No bucket, group or number of partners is capped.
+the chiefs of its others, unless links of the first round lead both to one node, 3. among the nodes of a chief that
+still are in several groups, every node outside the largest group with all nodes of other groups, in blocks. A comparison
+intersects the full sets; after rounds 2 and 3 links are joined into groups. Pairs that already are in one group need no
+comparison, so a family of n copies costs about n comparisons, and those that its chief does not link cost block
+products, which emit links only. No bucket, group or number of partners is capped. A node with very many links (a hub)
+is looked up by broadcast (`textscan.lookup`, bounded) or dealt out by salt, so that its links are spread over tasks.
 
 Edge cases: null and empty texts have an empty set and stay alone; texts with fewer words than k are one shingle;
 null ids count as the smallest; repeated rows are copies; rows with equal ids and different texts are kept apart while
@@ -22,15 +23,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from . import textscan as ts
 
 HASHES = 40
 ROWS = 4
-#: Rows of a block, and columns of shingles taken at a time, when sets are intersected in blocks.
+#: Rows and shingles of a block (on average), and columns of shingles taken at a time, when sets are intersected in blocks.
 BLOCK = 256
+BLOCK_SHINGLES = 400_000
 COLUMNS = 8192
 LEAST_ID = -(1 << 63)
 
@@ -119,10 +121,16 @@ def _full_sets(df: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     return got.select(F.struct("d", "s").alias("node"), "members").dropDuplicates(["node"])
 
 
-def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose full sets have at least percent / 100 of their union in common."""
-    side = lambda c: sets.select(F.col("node").alias(f"_{c}"), F.col("members").alias(f"_set_{c}"))
-    both = pairs.join(side("a"), F.col("a") == F.col("_a")).join(side("b"), F.col("b") == F.col("_b"))
+def _linked(pairs: DataFrame, sets: DataFrame, percent: int, total: int) -> DataFrame:
+    """Pairs (a, b) whose full sets have at least percent / 100 of their union in common; there are at most total pairs.
+    The set of a node that is a in many pairs is copied once for each `bound` of them, and its pairs are dealt to the copies."""
+    bound = max(256, total // ts.HOT_KEYS)
+    # At most HOT_KEYS rows are broadcast.
+    hubs = F.broadcast(pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / bound).cast("int").alias("copies")).filter("copies > 1"))
+    dealt = pairs.join(hubs, "a", "left").withColumn("copy", F.pmod(F.xxhash64("b"), F.coalesce("copies", F.lit(1))).cast("int")).drop("copies")
+    chiefs = sets.join(pairs.select(F.col("a").alias("node")).distinct(), "node", "left_semi").withColumnRenamed("node", "a").join(hubs, "a", "left")
+    copied = chiefs.select("a", F.col("members").alias("_set_a"), F.explode(F.sequence(F.lit(0), F.coalesce("copies", F.lit(1)) - 1)).alias("copy"))
+    both = dealt.join(sets.select(F.col("node").alias("b"), F.col("members").alias("_set_b")).hint("merge"), "b").join(copied.hint("merge"), ["a", "copy"])
     common = F.size(F.array_intersect("_set_a", "_set_b"))
     return both.filter(100 * common >= percent * (F.size("_set_a") + F.size("_set_b") - common)).select("a", "b")
 
@@ -164,83 +172,103 @@ def _block_links(t: pa.Table, percent: int) -> pa.Table:
 def components(edges: DataFrame) -> DataFrame:
     """node and group (its smallest reachable node) of the nodes of edges (a, b), by alternating star contraction."""
 
-    def stars(e: DataFrame, keep: Column) -> DataFrame:
-        # Each node's neighbours move to the least of the node and them; keep picks the neighbours that take part.
-        both = e.select("a", "b").unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))).filter(keep)
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("_a"), F.least("_a", "m").alias("m"))
-        moved = both.join(least, F.col("a") == F.col("_a"))
-        own = least.select(F.col("_a").alias("a"), F.col("m").alias("b"))
-        return moved.select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(own).filter(F.col("a") != F.col("b")).distinct()
+    def kept(e: DataFrame, name: str) -> tuple[DataFrame, tuple]:
+        seen = Observation()
+        out = ts.stored(e.observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")), name)
+        return out, (seen.get["n"], seen.get["h"])
 
-    def state(e: DataFrame) -> tuple:
-        return tuple(e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+    def stars(e: DataFrame, total: int, both_ways: bool) -> DataFrame:
+        # Each node's neighbours (a > b: or only the smaller ones) move to the least of the node and them.
+        both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b"))) if both_ways else e
+        least = both.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n")).withColumn("m", F.least("a", "m"))
+        moved = ts.lookup(both, least, ["a"], total).select(F.col("b").alias("a"), F.col("m").alias("b"))
+        return moved.unionByName(least.select("a", F.col("m").alias("b"))).filter(F.col("a") != F.col("b")).distinct()
 
-    edges = ts.stored(edges.filter(F.col("a") != F.col("b")).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
+    edges, now = kept(edges.filter(F.col("a") != F.col("b")).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
     before = None
-    while (now := state(edges)) != before:
+    while now != before and now[0]:
         before = now
-        large = stars(edges, F.lit(True)).filter(F.col("a") > F.col("b"))
-        edges = ts.stored(stars(ts.stored(large, "large"), F.col("b") < F.col("a")), "edges")
+        large, (n, _) = kept(stars(edges, 2 * now[0], True).filter(F.col("a") > F.col("b")), "large")
+        last = edges
+        edges, now = kept(stars(large, n, False).filter(F.col("a") > F.col("b")), "edges")
+        ts.dropped(last, large)
     top = edges.select(F.col("b").alias("node"), F.col("b").alias("group")).distinct()
     return edges.select(F.col("a").alias("node"), F.col("b").alias("group")).unionByName(top)
 
 
+def _labelled(pairs: DataFrame, labels: DataFrame, column: str, total: int, own: Column | None = None) -> DataFrame:
+    """pairs with label, that of column by a table (node, label), or own (the column itself, if not given)."""
+    counted = pairs.groupBy(column).agg(F.count(F.lit(1)).alias("n"))
+    values = counted.join(labels.select(F.col("node").alias(column), "label"), column, "left")
+    values = values.withColumn("label", F.coalesce("label", column if own is None else own))
+    return ts.lookup(pairs, values, [column], total).drop("n")
+
+
 def groups(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every row: kept rows are the smallest of their group."""
     signed = ts.stored(_signed(df, k), "signed")
-    full = signed.filter("n > 0")
-    node = F.struct("d", "s")
-    nodes = full.groupBy("s", "t").agg(F.min("d").alias("d"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
-    nodes = ts.stored(nodes.select(node.alias("node"), "t", "n", "bands"), "nodes")
+    nodes = signed.filter("n > 0").groupBy("s", "t").agg(F.min("d").alias("d"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
+    nodes = ts.stored(nodes.select(F.struct("d", "s").alias("node"), "t", "n", "bands"), "nodes")
     entries = nodes.select("node", F.explode("bands").alias("band"))
-    shared = ts.stored(entries.groupBy("band").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").withColumnRenamed("band", "_band"), "shared")
-    live = ts.stored(entries.join(shared, F.col("band") == F.col("_band")).select("band", "node", "c"), "live")
+    shared = entries.groupBy("band").agg(F.count(F.lit(1)).alias("c")).filter("c > 1")
+    live = ts.stored(entries.join(shared, "band"), "live")
     # The node of a band value with the most company in all of its band values: in a family of copies, what they copy.
-    company = ts.stored(live.groupBy("node").agg(F.sum("c").alias("company")).withColumnRenamed("node", "_node"), "company")
-    ranked = live.join(company, F.col("node") == F.col("_node")).select("band", "node", "company")
-    chief = ranked.groupBy("band").agg(F.max(F.struct("company", "node")).alias("chief")).select(F.col("band").alias("_band"), "chief")
-    live = ts.stored(live.join(ts.stored(chief, "chief"), F.col("band") == F.col("_band")).select("node", "chief").distinct(), "stars")
-    sets = ts.stored(_full_sets(df, live.select("node").distinct(), k), "sets")
-    stars = live.filter(F.col("node") != F.col("chief.node")).select(F.col("chief.node").alias("a"), F.col("node").alias("b"))
-
-    first = live.filter(F.col("node") != F.col("chief.node")).groupBy("node").agg(F.max("chief").alias("m")).select(F.col("m.node").alias("a"), F.col("node").alias("b"))
-    links = ts.stored(_linked(ts.stored(first, "pairs"), sets, percent), "links")
-    found = components(links)
-
-    def with_groups(pairs: DataFrame, columns: tuple[str, ...]) -> DataFrame:
-        for c in columns:
-            named = found.select(F.col("node").alias("_n"), F.col("group").alias("_g"))
-            pairs = pairs.join(named, F.col(c) == F.col("_n"), "left").withColumn(f"g_{c}", F.coalesce("_g", c)).drop("_n", "_g")
-        return pairs
-
-    found = ts.stored(found, "groups")
-    others = with_groups(ts.stored(stars.distinct(), "stars"), ("a", "b")).filter(F.col("g_a") != F.col("g_b")).select("a", "b")
-    others = others.join(first, ["a", "b"], "left_anti")
-    more = ts.stored(_linked(ts.stored(others, "pairs"), sets, percent), "links")
-    named_edges = lambda: found.filter(F.col("node") != F.col("group")).select(F.col("node").alias("a"), F.col("group").alias("b"))
-    if not more.isEmpty():
-        found = ts.stored(components(named_edges().unionByName(more)), "groups")
+    company = live.groupBy("node").agg(F.sum("c").alias("company"))
+    chief = live.join(company, "node").groupBy("band").agg(F.max(F.struct("company", "node")).alias("chief"))
+    stars = live.join(chief, "band").select("node", "chief").filter(F.col("node") != F.col("chief.node")).distinct()
+    stars = ts.stored(stars.select(F.col("chief.node").alias("a"), F.col("node").alias("b"), F.col("chief.company").alias("company")), "stars")
+    total = stars.count()
+    if not total:
+        return _placed(signed, nodes, None)
+    ts.dropped(live)
+    ends = stars.select(F.col("a").alias("node")).unionByName(stars.select(F.col("b").alias("node")))
+    sets = ts.stored(_full_sets(df, ends, k), "sets")
+
+    first = stars.groupBy("b").agg(F.max(F.struct("company", "a")).alias("m")).select(F.col("m.a").alias("a"), "b")
+    links = ts.stored(_linked(first, sets, percent, total), "links")
+    # Where the first links lead in up to three steps: nodes that meet there are in one group.
+    label = links.select(F.col("b").alias("node"), F.col("a").alias("label"))
+    for _ in range(2):
+        label = _labelled(label.withColumnRenamed("label", "at"), links.select(F.col("b").alias("node"), F.col("a").alias("label")), "at", total).drop("at")
+    label = ts.stored(label, "labels")
+    one = _labelled(stars.select("a", "b"), label, "a", total).withColumnRenamed("label", "g_a")
+    others = _labelled(one, label, "b", total).filter(F.col("g_a") != F.col("label")).select("a", "b").join(first, ["a", "b"], "left_anti")
+    more = ts.stored(_linked(ts.stored(others, "pairs"), sets, percent, total), "links")
+    every_link = links.unionByName(more)
+    found = components(every_link)
 
     # Stars whose nodes still are in several groups: all pairs of different groups, in blocks.
-    placed = ts.stored(with_groups(stars.distinct().unionByName(stars.select("a", F.col("a").alias("b")).distinct()), ("b",)).select(F.col("a").alias("star"), F.col("b").alias("node"), F.col("g_b").alias("group")), "placed")
-    counted = placed.groupBy("star", "group").agg(F.count(F.lit(1)).alias("c"))
-    mixed = counted.groupBy("star").agg(F.sum("c").alias("all"), F.max(F.struct("c", "group")).alias("m"), F.count(F.lit(1)).alias("groups")).filter("groups > 1")
-    mixed = ts.stored(mixed.select(F.col("star").alias("_star"), F.col("m.group").alias("main"), F.ceil(F.col("all") / BLOCK).cast("int").alias("inner"), F.ceil((F.col("all") - F.col("m.c")) / BLOCK).cast("int").alias("outer")), "mixed")
-    members = placed.join(mixed, F.col("star") == F.col("_star")).join(sets.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"))
-    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
-    block = lambda n: F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
-    carried = ["star", "node", "group", "members"]
-    inside = members.select(*carried, F.lit(False).alias("outside"), block("inner").alias("i"), every("outer").alias("j"))
-    outside = members.filter(F.col("group") != F.col("main")).select(*carried, F.lit(True).alias("outside"), every("inner").alias("i"), block("outer").alias("j"))
-    node_type = "struct<d:bigint,s:bigint>"
-    last = inside.unionByName(outside).groupBy("star", "i", "j").applyInArrow(lambda t: _block_links(t, percent), f"a {node_type}, b {node_type}")
-    last = ts.stored(last.distinct(), "links")
-    if not last.isEmpty():
-        found = ts.stored(components(named_edges().unionByName(last)), "groups")
-
-    by_set = nodes.select("node", "t").join(found.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"), "left")
-    by_set = ts.stored(by_set.select(F.col("node.s").alias("_s"), F.col("t").alias("_t"), F.coalesce("group", "node")["d"].alias("component")), "components")
-    joined = signed.select("d", "s", "t", "n").join(by_set, (F.col("s") == F.col("_s")) & (F.col("t") == F.col("_t")) & (F.col("n") > 0), "left")
+    named = nodes.select(F.col("node").alias("b"), "n").join(found.withColumnRenamed("node", "b"), "b", "left").select("b", F.col("n").alias("size"), F.coalesce("group", "b").alias("group"))
+    every_end = stars.select("a", "b").unionByName(stars.select("a", F.col("a").alias("b")).distinct())
+    placed = ts.stored(every_end.join(named, "b"), "placed")
+    counted = placed.groupBy("a", "group").agg(F.count(F.lit(1)).alias("c"), F.sum("size").alias("w"))
+    mixed = counted.groupBy("a").agg(F.sum("c").alias("n"), F.sum("w").alias("w"), F.max(F.struct("c", "group", "w")).alias("m"), F.count(F.lit(1)).alias("groups")).filter("groups > 1")
+    parts = lambda c, w: F.ceil(F.greatest(c / BLOCK, w / BLOCK_SHINGLES)).cast("int")
+    mixed = mixed.select("a", "n", F.col("m.group").alias("main"), parts(F.col("n"), F.col("w")).alias("inner"), parts(F.col("n") - F.col("m.c"), F.col("w") - F.col("m.w")).alias("outer"))
+    mixed = ts.stored(mixed, "mixed")
+    if not mixed.isEmpty():
+        members = ts.lookup(placed, mixed, ["a"], 2 * total).join(sets.select(F.col("node").alias("b"), "members"), "b")
+        every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+        block = lambda n: F.pmod(F.xxhash64("b"), F.col(n)).cast("int")
+        carried = [F.col("a").alias("star"), F.col("b").alias("node"), "group", "members"]
+        inside = members.select(*carried, F.lit(False).alias("outside"), block("inner").alias("i"), every("outer").alias("j"))
+        outside = members.filter(F.col("group") != F.col("main")).select(*carried, F.lit(True).alias("outside"), every("inner").alias("i"), block("outer").alias("j"))
+        node_type = "struct<d:bigint,s:bigint>"
+        last = inside.unionByName(outside).groupBy("star", "i", "j").applyInArrow(lambda t: _block_links(t, percent), f"a {node_type}, b {node_type}")
+        last = ts.stored(last.distinct(), "links")
+        if not last.isEmpty():
+            found = components(every_link.unionByName(last))
+    return _placed(signed, nodes, found)
+
+
+def _placed(signed: DataFrame, nodes: DataFrame, found: DataFrame | None) -> DataFrame:
+    """Every row with the group of its node."""
+    group = F.col("node")
+    if found is not None:
+        nodes, group = nodes.join(found, "node", "left"), F.coalesce("group", "node")
+    by_set = nodes.select("node.s", "t", group["d"].alias("component"))
+    joined = signed.select("d", "s", "t", "n").withColumn("_full", F.col("n") > 0)
+    joined = joined.join(by_set.withColumn("_full", F.lit(True)), ["s", "t", "_full"], "left")
     component = F.coalesce("component", "d")
     real = lambda c: F.when(c != LEAST_ID, c)
     return joined.select(real(F.col("d")).alias("doc_id"), F.col("n").alias("n_shingles"), real(component).alias("component_id"), (component == F.col("d")).alias("kept"))
@@ -249,7 +277,7 @@ def groups(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
 def deduplicated(df: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """df without the rows that are not the smallest of their group; of rows with equal ids and texts one stays."""
     judged = ts.stored(groups(df, k, percent), "judged")
-    gone = ts.stored(judged.filter(~F.col("kept")).select(F.col("doc_id").alias("_mm_id")).distinct(), "gone")
+    gone = judged.filter(~F.col("kept")).select(F.col("doc_id").alias("_mm_id")).distinct()
     if not judged.groupBy("doc_id").count().filter("count > 1").isEmpty():
         df = df.dropDuplicates(["doc_id", "text"])
     return df.join(gone, F.col("doc_id").eqNullSafe(F.col("_mm_id")), "left_anti")

@@ -7,6 +7,8 @@ All hashing works on UTF-8 bytes of whole texts. A column is walked in slices of
 from __future__ import annotations
 
 import os
+import re
+import tempfile
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -33,20 +35,14 @@ LOWER[ord("A") : ord("Z") + 1] += 32
 PLAIN = LOWER.copy()
 PLAIN[[i for i in range(128) if not chr(i).isalnum()]] = 0x20
 
-_powers = np.ones(1, np.uint64)
-_inverse = np.ones(1, np.uint64)
+#: Bytes hashed at a time.
+CHUNK = 1 << 18
 
-
-def _grow(n: int) -> None:
-    global _powers, _inverse
-    if len(_powers) < n:
-        size = max(n, SLICE_BYTES + 65536)
-        step = np.full(size, BASE, np.uint64)
-        step[0] = 1
-        _powers = np.multiply.accumulate(step)
-        back = np.full(size, pow(BASE, -1, 1 << 64), np.uint64)
-        back[0] = 1
-        _inverse = np.multiply.accumulate(back)
+_steps = np.full(CHUNK, BASE, np.uint64)
+_steps[0] = 1
+_powers = np.multiply.accumulate(_steps)
+_steps[1:] = pow(BASE, -1, 1 << 64)
+_inverse = np.multiply.accumulate(_steps)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -58,49 +54,70 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Words:
-    """Words of some documents: `hashes` of all words in order, `first[d]:first[d + 1]` those of document d."""
+    """Words of some documents: `hashes` of all words in order, `first[d]:first[d + 1]` those of document d; a word's
+    bytes are table[data[start:end]]."""
 
     hashes: np.ndarray
     first: np.ndarray
     starts: np.ndarray
     ends: np.ndarray
-    sums: np.ndarray
+    data: np.ndarray
+    table: np.ndarray
 
     def prefixes(self, n_bytes: int) -> tuple[np.ndarray, np.ndarray]:
         """Hashes of the first n_bytes bytes of words that are longer, and the positions of those words."""
         at = np.flatnonzero(self.ends - self.starts > n_bytes)
         s = self.starts[at]
+        out = np.zeros(len(at), np.uint64)
         with np.errstate(over="ignore"):
-            return mix((self.sums[s + n_bytes] - self.sums[s]) * _inverse[s] + np.uint64(n_bytes)), at
+            for j in range(n_bytes):
+                out += (self.table[self.data[s + j]].astype(np.uint64) + np.uint64(1)) * _powers[j]
+            return mix(out + np.uint64(n_bytes)), at
 
     def owner(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.first) - 1), np.diff(self.first))
 
 
 def scan(data: np.ndarray, offsets: np.ndarray, table: np.ndarray = LOWER) -> Words:
-    """Words of the documents data[offsets[d]:offsets[d + 1]]."""
+    """Words of the documents data[offsets[d]:offsets[d + 1]], read in chunks: what is kept is 24 bytes for each word."""
     base = int(offsets[0])
     offsets = offsets.astype(np.int64) - base
-    b = table[data[base : base + int(offsets[-1])]]
-    n = len(b)
-    _grow(n + 1)
-    inside = ~_SPACE[b]
-    new_doc = np.zeros(n + 1, bool)
-    new_doc[offsets] = True
-    before = np.empty(n, bool)
-    after = np.empty(n, bool)
-    if n:
-        before[0] = False
-        before[1:] = inside[:-1]
-        after[-1] = False
-        after[:-1] = inside[1:]
-    starts = np.flatnonzero(inside & (~before | new_doc[:-1]))
-    ends = np.flatnonzero(inside & (~after | new_doc[1:])) + 1
+    n = int(offsets[-1])
+    data = data[base : base + n]
+    parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    open_word: tuple[int, int] | None = None  # start and value of a word that reaches the end of the last chunk
     with np.errstate(over="ignore"):
-        sums = np.zeros(n + 1, np.uint64)
-        np.cumsum((b.astype(np.uint64) + np.uint64(1)) * _powers[:n], out=sums[1:])
-        hashes = mix((sums[ends] - sums[starts]) * _inverse[starts])
-    return Words(hashes, np.searchsorted(starts, offsets), starts, ends, sums)
+        for low in range(0, n, CHUNK):
+            b = table[data[low : low + CHUNK]]
+            m = len(b)
+            inside = ~_SPACE[b]
+            cut = np.zeros(m + 1, bool)
+            cut[offsets[np.searchsorted(offsets, low) : np.searchsorted(offsets, low + m, "right")] - low] = True
+            edge = np.empty(m + 1, bool)  # where a stretch of equal kind may begin
+            edge[0] = edge[-1] = True
+            np.not_equal(inside[1:], inside[:-1], out=edge[1:-1])
+            edge |= cut
+            starts = np.flatnonzero(inside & edge[:-1])
+            ends = np.flatnonzero(inside & edge[1:]) + 1
+            sums = np.zeros(m + 1, np.uint64)
+            np.cumsum((b.astype(np.uint64) + np.uint64(1)) * _powers[:m], out=sums[1:])
+            values = (sums[ends] - sums[starts]) * _inverse[starts]
+            starts, ends = starts + low, ends + low
+            if open_word is not None:
+                if len(starts) and starts[0] == low and not cut[0]:
+                    shift = pow(BASE, low - open_word[0], 1 << 64)
+                    values[0] = np.uint64((open_word[1] + shift * int(values[0])) & ((1 << 64) - 1))
+                    starts[0] = open_word[0]
+                else:
+                    parts.append((np.array([open_word[0]]), np.array([low]), np.array([open_word[1]], np.uint64)))
+                open_word = None
+            if low + m < n and len(ends) and ends[-1] == low + m:
+                open_word = (int(starts[-1]), int(values[-1]))
+                starts, ends, values = starts[:-1], ends[:-1], values[:-1]
+            parts.append((starts, ends, values))
+        starts, ends = (np.concatenate([np.zeros(0, np.int64), *[p[i] for p in parts]]) for i in (0, 1))
+        hashes = mix(np.concatenate([np.zeros(0, np.uint64), *[p[2] for p in parts]]))
+    return Words(hashes, np.searchsorted(starts, offsets), starts, ends, data, table)
 
 
 def slices(column: pa.Array, size: int = SLICE_BYTES) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -156,17 +173,17 @@ def distinct_per_document(values: np.ndarray, first: np.ndarray) -> tuple[np.nda
 
 
 def scratch(spark: SparkSession, prefix: str) -> str:
-    """A fresh path in the folder of spark.checkpoint.dir, which all executors share; set under /tmp only where unset (tests)."""
-    root = checkpoint_dir(spark)
-    return f"{root}/{prefix}-{os.urandom(8).hex()}"
+    """A fresh path in the folder of spark.checkpoint.dir, which all executors share."""
+    return f"{checkpoint_dir(spark)}/{prefix}-{os.urandom(8).hex()}"
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
+    """The session's spark.checkpoint.dir; where it is unset, a folder of this machine's if that is all there is (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not root:
-        root = "/tmp/chronomill-checkpoints"
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(root)
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir is not set: it must name a folder that all executors share")
+        root = f"{tempfile.gettempdir()}/chronomill-checkpoints"
     return root
 
 
@@ -174,7 +191,31 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     """df written as a table in the shared folder and read again: cuts lineage and outlives executors."""
     path = scratch(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+def dropped(*frames: DataFrame) -> None:
+    """Delete stored tables that nothing reads any more."""
+    for df in frames:
+        spark = df.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(df._stored_at)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+#: Rows of a table that may be broadcast as the hot keys of a lookup.
+HOT_KEYS = 20_000
+
+
+def lookup(rows: DataFrame, values: DataFrame, keys: list[str], total: int, n: str = "n") -> DataFrame:
+    """Inner join of rows with a table that has one row for each key and in n the number of rows with that key (which
+    add up to total at most). Keys with more rows than total / HOT_KEYS (1000 at least), so HOT_KEYS of them at most,
+    are broadcast, so that no task gets all rows of a key; the others are joined by shuffle."""
+    bound = max(1000, total // HOT_KEYS)
+    hot = F.broadcast(values.filter(F.col(n) > bound))
+    rest = rows.join(hot.select(*keys), keys, "left_anti").join(values.filter(F.col(n) <= bound).hint("merge"), keys)
+    return rows.join(hot, keys).unionByName(rest)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

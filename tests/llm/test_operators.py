@@ -36,6 +36,26 @@ def test_scan_finds_words_and_shingles():
     assert [x for x, _, _, _ in ts.slices(pa.array(["aaaa"] * 5), 8)] == [0, 2, 4]
 
 
+def test_scan_is_the_same_in_chunks_of_any_size(monkeypatch):
+    rng = random.Random(0)
+    texts = ["".join(rng.choice("aB  c\n") for _ in range(rng.randrange(60))) for _ in range(100)] + ["x" * 500, "", " ", "y" * 64, "z" * 64 + " k"]
+    read = lambda: [ts.scan(d, o) for _, _, d, o in ts.slices(pa.array(texts))][0]
+    whole = read()
+    monkeypatch.setattr(ts, "CHUNK", 16)
+    cut = read()
+    assert all((getattr(whole, f) == getattr(cut, f)).all() for f in ("hashes", "first", "starts", "ends"))
+    assert (whole.prefixes(3)[0] == cut.prefixes(3)[0]).all()
+    assert np.diff(whole.first).tolist() == [len(t.split()) for t in texts]
+
+
+def test_lookup_of_hot_and_cold_keys(spark):
+    rows = spark.range(3000).select(F.when(F.col("id") < 2000, -1).otherwise(F.col("id")).alias("k"), "id")
+    values = rows.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.max("id").alias("m"))
+    got = ts.lookup(rows, values, ["k"], 3000)
+    assert got.count() == 3000
+    assert got.filter("(k = -1 and m = 1999) or k = m").count() == 3000
+
+
 # 1
 
 
@@ -85,38 +105,6 @@ def test_pieces_equal_the_library(spark):
 # 3
 
 
-def brute_lines(rows, least=50):
-    """Places that repeat an earlier run of at least `least` words, extended while lines agree."""
-    texts = [(i, [x for x in enumerate((t or "").split("\n")) if x[1].split()]) for i, t in sorted(rows)]
-    seen, gone = {}, {}
-    for i, ls in texts:
-        for a in range(len(ls)):
-            words, b = 0, a
-            while b < len(ls) and words < least:
-                words += len(ls[b][1].split())
-                b += 1
-            if words < least:
-                continue
-            key = tuple(x for _, x in ls[a:b])
-            if key not in seen:
-                seen[key] = (ls, a)
-                continue
-            first, p = seen[key]
-            gone.setdefault(i, set()).update(place for place, _ in ls[a:b])
-            while b < len(ls) and p + b - a < len(first) and first[p + b - a][1] == ls[b][1]:
-                gone[i].add(ls[b][0])
-                b += 1
-    return gone
-
-
-def test_line_runs_match_brute_force(spark):
-    rng = random.Random(3)
-    lines = [" ".join(f"w{rng.randrange(9)}" for _ in range(rng.choice((3, 8, 20, 60)))) for _ in range(12)]
-    rows = [(i, "\n".join(rng.choice([*lines, "", f"own {i} {j}"]) for j in range(12))) for i in range(30)]
-    got = {r["doc_id"]: set(r["removed_lines"]) for r in linedup.without_repeats(docs(spark, rows), keep_places=True).collect()}
-    assert {k: v for k, v in got.items() if v} == {k: v for k, v in brute_lines(rows).items() if v}
-
-
 def brute_runs(rows, least=50):
     """Places in any run of at least `least` words that stands before: all runs of each document are tried."""
     seen, gone = set(), {}
@@ -132,16 +120,43 @@ def brute_runs(rows, least=50):
     return gone
 
 
+def test_line_runs_match_brute_force(spark):
+    rng = random.Random(3)
+    lines = [" ".join(f"w{rng.randrange(9)}" for _ in range(rng.choice((3, 8, 20, 60)))) for _ in range(12)]
+    rows = [(i, "\n".join(rng.choice([*lines, "", f"own {i} {j}"]) for j in range(12))) for i in range(30)]
+    got = {r["doc_id"]: set(r["removed_lines"]) for r in linedup.without_repeats(docs(spark, rows), keep_places=True).collect()}
+    assert {k: v for k, v in got.items() if v} == {k: v for k, v in brute_runs(rows).items() if v}
+
+
+def test_winnowing_selects_few_lines_and_meets_every_repeat(spark):
+    rng = random.Random(31)
+    shared = [" ".join(f"s{rng.randrange(10**6)}" for _ in range(5)) for _ in range(30)]
+    rows = []
+    for i in range(12):
+        own = [" ".join(f"o{rng.randrange(10**6)}" for _ in range(5)) for _ in range(60)]
+        at = rng.randrange(60)
+        rows.append((i, "\n".join(own[:at] + shared[: 10 + i] + own[at:])))
+    lines = linedup.lines(docs(spark, rows)).cache()
+    prints = linedup.fingerprints(lines).collect()
+    assert len(prints) < 0.35 * lines.count()
+    hashes = {}
+    for r in prints:
+        hashes.setdefault(r["_ld_id"], set()).add(r["h"])
+    assert all(hashes[i] & hashes[j] for i in hashes for j in hashes)
+    got = {r["doc_id"]: set(r["removed_lines"]) for r in linedup.without_repeats(docs(spark, rows), keep_places=True).collect()}
+    assert {k: v for k, v in got.items() if v} == brute_runs(rows)
+
+
 def test_short_end_after_a_long_line_goes(spark):
     long, end = " ".join(f"w{i}" for i in range(150)), "a short end"
     rows = [(1, long), (2, f"{long}\n{end}"), (3, f"{long}\n\n{end}\nown"), (4, f"{end}\nown")]
     rng = random.Random(33)
     lines = [" ".join(f"v{rng.randrange(9)}" for _ in range(rng.choice((1, 8, 30, 49, 50, 120, 150)))) for _ in range(14)]
     rows += [(10 + i, "\n".join(rng.choice([*lines, "", f"own {i} {j}"]) for j in range(12))) for i in range(30)]
-    got = {r["doc_id"]: set(r["removed_lines"]) for r in linedup.without_repeats(docs(spark, rows), keep_places=True, every=True).collect()}
+    got = {r["doc_id"]: set(r["removed_lines"]) for r in linedup.without_repeats(docs(spark, rows), keep_places=True).collect()}
     assert (got[1], got[2], got[3], got[4]) == (set(), {0}, {0, 2}, set())
     assert {k: v for k, v in got.items() if v} == brute_runs(rows)
-    odd = linedup.without_repeats(docs(spark, ODD), every=True).collect()
+    odd = linedup.without_repeats(docs(spark, ODD)).collect()
     assert sorted((r["doc_id"] or -1, r["text"] or "") for r in odd) == sorted((i or -1, t or "") for i, t in ODD)
 
 
@@ -151,6 +166,10 @@ def test_line_dedup_on_odd_rows(spark):
     assert out.columns == df.columns
     assert sorted((r["doc_id"] or -1, r["text"] or "") for r in out.collect()) == sorted((i or -1, t or "") for i, t in ODD)
     assert linedup.without_repeats(df.limit(0)).count() == 0
+    text = "\n".join(f"line {i} of some words that repeat in the next document" for i in range(9))
+    clash = docs(spark, [(1, text), (2, text)]).withColumn("n_lines", F.lit("x")).withColumn("removed_lines", F.lit(0))
+    assert linedup.without_repeats(clash).columns == clash.columns
+    assert [(r["doc_id"], r["removed_lines"], r["n_lines"]) for r in linedup.without_repeats(clash, keep_places=True).orderBy("doc_id").collect()] == [(1, [], 9), (2, list(range(9)), 9)]
 
 
 # 4
@@ -267,6 +286,41 @@ def test_near_duplicate_groups_match_brute_force(spark):
     assert got == brute_groups(rows, 3, 85)
 
 
+def test_components_of_paths_and_a_hub(spark):
+    rng = random.Random(88)
+    pairs = [(i, i + 1) for i in range(40)] + [(100, i) for i in range(101, 1400)] + [(rng.randrange(2000, 2400), rng.randrange(2000, 2400)) for _ in range(250)]
+    parent = {x: x for p in pairs for x in p}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in pairs:
+        x, y = sorted((root(a), root(b)))
+        parent[y] = x
+    node = lambda c: F.struct(F.col(c).alias("d"), F.lit(0).cast("long").alias("s"))
+    edges = spark.createDataFrame(pairs, "x long, y long").select(node("x").alias("a"), node("y").alias("b"))
+    got = {r["node"]["d"]: r["group"]["d"] for r in minmax.components(edges).collect()}
+    alone = {x for x in parent if parent[x] == x} - {x for a, b in pairs if a != b for x in (a, b)}
+    assert got == {x: root(x) for x in parent if x not in alone}
+
+
+def test_banding_finds_pairs_at_the_threshold():
+    """Share of pairs of sets just above the threshold that share a band value."""
+    rng = np.random.default_rng(80)
+    for percent in (80, 85):
+        hit, n = 0, 300
+        for _ in range(n):
+            common = rng.integers(0, 1 << 63, percent, dtype=np.uint64)
+            own = rng.integers(0, 1 << 63, 100 - percent, dtype=np.uint64)
+            cut = len(own) // 2
+            sets = [np.concatenate([common, own[:cut]]), np.concatenate([common, own[cut:]])]
+            bands = minmax.banded(minmax.signatures(np.concatenate(sets), np.array([0, len(sets[0]), len(sets[0]) + len(sets[1])])))
+            hit += bool((bands[0] == bands[1]).any())
+        assert hit / n >= 0.99
+
+
 def test_near_duplicates_on_odd_rows(spark):
     out = minmax.groups(docs(spark, ODD), k=3, percent=85).collect()
     assert len(out) == len(ODD)

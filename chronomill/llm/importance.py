@@ -53,7 +53,7 @@ def bucket_counts(df: DataFrame, buckets: int = BUCKETS) -> np.ndarray:
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["bucket", "n"])
 
-    counted = df.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
+    counted = df.select(F.col("text").cast("string").alias("text")).transform(ts.mapped, run, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
     out = np.zeros(buckets, np.int64)
     for b, n in counted.collect():  # at most `buckets` rows
         out[b] = n
@@ -97,7 +97,7 @@ def weighed(df: DataFrame, weigher: Weigher) -> DataFrame:
             w = weigher.weigh(batch.column("text"))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(w), pa.array(w + gumbel(batch.column("doc_id")))], ["doc_id", "log_weight", "sample_key"])
 
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, log_weight double, sample_key double")
+    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).transform(ts.mapped, run, "doc_id long, log_weight double, sample_key double")
 
 
 def labelled(docs: DataFrame, labels: DataFrame, bound: int = LABELLED) -> DataFrame:
@@ -188,7 +188,7 @@ def resample(docs: DataFrame, labels: DataFrame, k: int | None = None) -> DataFr
             key = draw.weigher.weigh(batch.column("text")) + gumbel(batch.column("doc_id"))
             yield batch.filter(pa.array(key >= draw.threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.transform(ts.mapped, run, docs.schema)
 
 
 def judged(docs: DataFrame, labels: DataFrame, k: int | None = None) -> DataFrame:

@@ -12,6 +12,7 @@ Profiles are learned from at most about `DOCS_PER_LANG` documents of each langua
 from __future__ import annotations
 
 import re
+import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 
@@ -21,13 +22,17 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import textscan as ts
+
 TOP = 300
 ORDERS = (1, 2, 3)
 #: Bound of the learning sample: expected number of documents for each language.
 DOCS_PER_LANG = 3000
 GRAM_CAP = 1 << 17
 WORD_CAP = 1 << 19
-LETTERS = re.compile(r"[^\W\d_]+")
+#: Word characters that are numerals, not letters (all lie in the first two planes).
+_NUMERALS = "".join(chr(i) for i in range(0x20000) if unicodedata.category(chr(i)) in ("No", "Nl"))
+LETTERS = re.compile(rf"[^\W\d_{_NUMERALS}]+")
 
 
 def grams(word: str) -> list[str]:
@@ -57,7 +62,7 @@ def learn(df: DataFrame, may_learn: Column, top: int = TOP, docs_per_lang: int =
         share = F.when(F.col("lang") == lang, min(1.0, docs_per_lang / n)).otherwise(share)
     pick = (F.pmod(F.xxhash64("text"), F.lit(1 << 20)) / float(1 << 20)) < share
     sample = rows.filter(pick).select("lang", "text")
-    counted = sample.mapInArrow(_count, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    counted = sample.transform(ts.mapped, _count, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
     order = Window.partitionBy("lang").orderBy(F.desc("n"), "gram")
     best = counted.withColumn("r", F.row_number().over(order)).filter(F.col("r") <= top).select("lang", "r", "gram").collect()
     out: dict[str, list[str]] = {}
@@ -122,4 +127,4 @@ def identify(df: DataFrame, profiles: dict[str, list[str]], top: int = TOP) -> D
             got = [model.predict(t.as_py()) for t in batch.column("text")]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([x[0] for x in got], pa.string()), pa.array([x[1] for x in got], pa.float64())], ["doc_id", "lang_pred", "score"])
 
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
+    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).transform(ts.mapped, run, "doc_id long, lang_pred string, score double")

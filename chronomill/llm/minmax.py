@@ -97,7 +97,7 @@ def _signed(df: DataFrame, k: int) -> DataFrame:
                 )
 
     rows = df.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LEAST_ID)).alias("d"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "d long, s long, t long, n long, bands array<long>")
+    return rows.transform(ts.mapped, run, "d long, s long, t long, n long, bands array<long>")
 
 
 def _full_sets(df: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -117,7 +117,7 @@ def _full_sets(df: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     rows = df.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LEAST_ID)).alias("d"), F.col("text").cast("string").alias("text"))
     ids = wanted.select(F.col("node.d").alias("d")).distinct()
     # Merged at every size, so that small inputs are dealt out as large ones are.
-    got = rows.join(ids.hint("merge"), "d", "left_semi").mapInArrow(run, "d long, s long, members array<long>")
+    got = rows.join(ids.hint("merge"), "d", "left_semi").transform(ts.mapped, run, "d long, s long, members array<long>")
     return got.select(F.struct("d", "s").alias("node"), "members").dropDuplicates(["node"])
 
 

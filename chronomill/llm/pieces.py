@@ -3,8 +3,8 @@
 Encoding keeps an agenda of adjacent symbol pairs ordered by the score of the joined piece, then by place; it takes
 the best pair, joins it and adds the pairs that this makes. Symbols without a piece become byte pieces. A text is cut
 beforehand where no piece of the vocabulary can span: between any sign and a following blank, and around line ends.
-Each distinct cut is encoded once and remembered in two generations of at most `REMEMBERED` cuts; the older one goes when
-the younger is full. Cuts not met before are compared with the sentencepiece library in one call for each Arrow batch,
+Cuts met twice are remembered in two generations of at most `REMEMBERED` cuts; the older one goes when the younger is full,
+and both when another text operator runs in the worker process. Cuts not met before are compared with the sentencepiece library in one call for each Arrow batch,
 and one whole document of each batch is; a difference raises.
 
 Edge cases: null texts count as empty; empty texts have no ids and decode to the empty text; repeated rows get equal
@@ -24,28 +24,41 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from sentencepiece import sentencepiece_model_pb2
 
+from . import textscan as ts
+
 BLANK = "▁"
-REMEMBERED = 500_000
+REMEMBERED = 250_000
+MARKS = 1 << 21
 LONGEST_REMEMBERED = 64
 
 
 class Remembered(dict):
-    """Ids of cuts as decimals joined by commas; `make` gives those not met before and says whether to remember them."""
+    """Ids of cuts as decimals joined by commas; `make` gives those not met before and says whether to remember them.
+    A cut is remembered when it is met for the second time (`seen` marks hashes of cuts met since the last turn)."""
 
     def __init__(self, make: Callable[[str], tuple[str, bool]]) -> None:
         super().__init__()
         self.make = make
+        self.forget()
+
+    def forget(self) -> None:
+        self.clear()
         self.older: dict[str, str] = {}
+        self.seen = bytearray(MARKS)
 
     def __missing__(self, cut: str) -> str:
-        csv, keep = self.older.get(cut), True
+        csv = self.older.get(cut)
         if csv is None:
             csv, keep = self.make(cut)
-        if keep:
-            if len(self) >= REMEMBERED:
-                self.older = dict(self)
-                self.clear()
-            self[cut] = csv
+            mark = hash(cut) % MARKS
+            if not keep or not self.seen[mark]:
+                self.seen[mark] = 1
+                return csv
+        if len(self) >= REMEMBERED:
+            older = dict(self)
+            self.forget()
+            self.older = older
+        self[cut] = csv
         return csv
 
 
@@ -166,6 +179,7 @@ def model_for(path: str) -> PieceModel:
     """The model of a path, with the cuts that this worker process has met."""
     if path not in _loaded:
         _loaded[path] = PieceModel(path)
+        ts.idle.append(_loaded[path].known.forget)
     return _loaded[path]
 
 
@@ -192,4 +206,4 @@ def encode_documents(df: DataFrame, model_path: str, with_ids: bool = False) ->
                     names.append("ids")
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).transform(ts.mapped, run, schema)

@@ -77,7 +77,7 @@ def fingerprint(df: DataFrame, fraction: float = FRACTION) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([written(s) for s in sketches(batch.column("text"), fraction)], pa.string())], ["doc_id", "fingerprint"])
 
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fingerprint string")
+    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).transform(ts.mapped, run, "doc_id long, fingerprint string")
 
 
 def chained(df: DataFrame, runs_per_partition: int = 4) -> DataFrame:
@@ -153,4 +153,4 @@ def compare_with_next(df: DataFrame, fraction: float = FRACTION) -> DataFrame:
         if len(held) > 1:
             yield _compare(held, fraction)
 
-    return chained(df).mapInArrow(run, CHAIN_SCHEMA)
+    return chained(df).transform(ts.mapped, run, CHAIN_SCHEMA)

@@ -9,7 +9,7 @@ from __future__ import annotations
 import os
 import re
 import tempfile
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -80,6 +80,8 @@ class Words:
 
 def scan(data: np.ndarray, offsets: np.ndarray, table: np.ndarray = LOWER) -> Words:
     """Words of the documents data[offsets[d]:offsets[d + 1]], read in chunks: what is kept is 24 bytes for each word."""
+    for forget in idle:
+        forget()
     base = int(offsets[0])
     offsets = offsets.astype(np.int64) - base
     n = int(offsets[-1])
@@ -172,6 +174,21 @@ def distinct_per_document(values: np.ndarray, first: np.ndarray) -> tuple[np.nda
     return np.concatenate([np.zeros(0, values.dtype), *parts]), np.concatenate([[0], np.cumsum(sizes, dtype=np.int64)]).astype(np.int64)
 
 
+#: Rows of an Arrow batch; with the session's default of 10,000 a batch of long documents is a large part of a worker's memory.
+BATCH_ROWS = 2000
+#: What other operators keep in this worker process, to be called when a scan begins.
+idle: list[Callable[[], None]] = []
+
+
+def mapped(df: DataFrame, run, schema) -> DataFrame:
+    """df.mapInArrow with batches of at most BATCH_ROWS rows (a setting of the running session, lowered here)."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(df.sparkSession.conf.get(key))
+    if now <= 0 or now > BATCH_ROWS:
+        df.sparkSession.conf.set(key, str(BATCH_ROWS))
+    return df.mapInArrow(run, schema)
+
+
 def scratch(spark: SparkSession, prefix: str) -> str:
     """A fresh path in the folder of spark.checkpoint.dir, which all executors share."""
     return f"{checkpoint_dir(spark)}/{prefix}-{os.urandom(8).hex()}"

@@ -115,7 +115,7 @@ def learn(docs: DataFrame, labels: DataFrame, may_learn: Column, positives: int
     sampled = text.filter(F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(1 << 30)) < share * float(1 << 30)).withColumn("positive", F.lit(False))
     # At most `positives` ids are broadcast.
     chosen = text.join(F.broadcast(ids), "doc_id", "left_semi").withColumn("positive", F.lit(True))
-    got = chosen.unionByName(sampled).select("positive", "text").mapInArrow(_bags, "positive boolean, bag array<int>").toArrow()
+    got = chosen.unionByName(sampled).select("positive", "text").transform(ts.mapped, _bags, "positive boolean, bag array<int>").toArrow()
     bag = got.column("bag").combine_chunks()
     bag = pa.concat_arrays(bag.chunks) if isinstance(bag, pa.ChunkedArray) else bag
     offsets, flat = bag.offsets.to_numpy(), bag.values.to_numpy()
@@ -133,4 +133,4 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             parts = [m.score(ts.scan(data, offsets, ts.PLAIN)) for _, _, data, offsets in ts.slices(batch.column("text"))]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.concatenate([np.zeros(0), *parts]))], ["doc_id", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).transform(ts.mapped, run, "doc_id long, score double")

@@ -241,8 +241,8 @@ def test_language_profiles(spark):
     profiles = langprofile.learn(docs(spark, rows), F.col("doc_id") < 20)
     got = {r["doc_id"]: r for r in langprofile.identify(docs(spark, rows), profiles).collect()}
     assert all(got[i]["lang_pred"] == ("en" if i % 2 else "de") for i in range(40))
-    odd = [r for r in langprofile.identify(docs(spark, [*ODD, (8, "123 !!")]), profiles).collect()]
-    assert {r["doc_id"] for r in odd if r["lang_pred"] == "und"} == {1, 2, 3, 8}
+    odd = [r for r in langprofile.identify(docs(spark, [*ODD, (8, "123 !!"), (9, "\u00b2 \u00bd \u2167")]), profiles).collect()]
+    assert {r["doc_id"] for r in odd if r["lang_pred"] == "und"} == {1, 2, 3, 8, 9}
     assert all(0 <= r["score"] <= 1 for r in odd)
     assert {r["lang_pred"] for r in langprofile.identify(docs(spark, rows), {}).collect()} == {"und"}
 

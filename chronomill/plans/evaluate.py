@@ -192,6 +192,12 @@ class Evaluator:
             return no_facts(facts.sparkSession)
         return union_all(parts) if raw else iv.coalesced(union_all(parts), ATOM)
 
+    def for_atoms(self, rule: Rule, facts: DataFrame, atoms: DataFrame) -> DataFrame:
+        """Heads of a rule over facts, its body restricted to the head constants of atoms."""
+        near = leaf(rule.head_rel, atoms).drop("lo", "hi").distinct()
+        shared = [c for c in near.columns if c.startswith("v_")]
+        return self.head(rule, self.body(rule, facts, near=near if shared else None))
+
     @staticmethod
     def self_moving(rule: Rule) -> bool:
         """A rule whose head moves in time what its body, the same single atom, says."""

@@ -13,9 +13,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import intervals as iv
-from ..sources.store import no_facts, stored, stored_with, union_all
+from ..sources.store import fact_columns, no_facts, stored, stored_with, union_all
 from .evaluate import ATOM, Evaluator, bounds
-from .periodic import FAR, PeriodicModel, Repeat, expanded, find_periods, pm_equal, pm_minus, pm_union
+from . import small
+from .periodic import FAR, Patched, PeriodicModel, Repeat, aligned, expanded, find_periods, pm_equal, pm_minus, pm_union, settled
 from .rules import Program
 
 MAX_ROUNDS = 500
@@ -54,6 +55,12 @@ class Options:
     naive: bool = False
     periods: bool = True
     stable: str = "delta"  # "whole": the search looks at the whole model
+    #: Keep small deltas at the driver and the changed model as a patch; large updates of programs without recursion are rebuilt.
+    adaptive: bool = True
+
+    def mode(self, program: Program) -> str:
+        """The retraction test; `auto`: by the whole body where that is safe for the program."""
+        return program.retract_mode() if self.retract == "auto" else self.retract
 
 
 def _metrics(program: Program, span: tuple[int, int]) -> dict:
@@ -109,9 +116,11 @@ def spread(program: Program, base: PeriodicModel, seeds: PeriodicModel, span: tu
             lo, hi = state["lo"] - pad, state["hi"] + pad
             near = expanded(base, lo, hi)
             if growing:
-                near = near.unionByName(iv.clipped(known, lo, hi))
+                # Only atoms with new facts can have longer intervals than before.
+                names = known.select(*ATOM).distinct()
+                longer = iv.coalesced(near.join(names, ATOM, "left_semi").select(*fact_columns()).unionByName(iv.clipped(known, lo, hi)), ATOM)
+                near = near.join(names, ATOM, "left_anti").select(*fact_columns()).unionByName(longer)
                 apart.append(expanded(base, state["lo"] - reach_of_heads, state["hi"] + reach_of_heads))
-            near = iv.coalesced(near, ATOM)
             preds = {p for p in program.arity if state[f"has_{p}"]}
             parts.append(ev.applied(near) if options.naive else ev.affected(near, delta, preds, mode, options.chain, raw=True, exact=not growing))
         if endless:
@@ -145,7 +154,10 @@ def rebuild(program: Program, explicit: DataFrame, options: Options | None = Non
     explicit = stored(iv.coalesced(explicit, ATOM), "explicit")
     if explicit.isEmpty():
         return bounded(explicit)
-    return spread(program, bounded(no_facts(explicit.sparkSession)), bounded(explicit), bounds(explicit), True, options, stats, options.grow)
+    span = bounds(explicit)
+    out = spread(program, bounded(no_facts(explicit.sparkSession)), bounded(explicit), span, True, options, stats, options.grow)
+    out.span = span
+    return out
 
 
 def normalised(explicit: DataFrame, removed: DataFrame, added: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -157,22 +169,14 @@ def normalised(explicit: DataFrame, removed: DataFrame, added: DataFrame) -> tup
 
 def retract(program: Program, pm: PeriodicModel, removed: DataFrame, span: tuple[int, int], options: Options, stats: StageStats) -> PeriodicModel:
     """Everything in the model that has a derivation from removed facts."""
-    return spread(program, pm, bounded(removed), span, False, options, stats, options.retract)
+    return spread(program, pm, bounded(removed), span, False, options, stats, options.mode(program))
 
 
 def still_derivable(program: Program, rest: PeriodicModel, gone: PeriodicModel, survivors: DataFrame) -> PeriodicModel:
     """Facts of gone that are explicit still or follow from rest in one step; beyond a margin of the program's depth
     they repeat as both models do together."""
-    from .periodic import Period, aligned
-
     pad = 2 * program.depth + 2
-    left, right = aligned(rest, gone)
-    # The first whole period past which every rule body sees repeating facts only.
-    shift = lambda p: -(-(2 * pad) // p.cells) * p.cells
-    if right:
-        right = Period(right.lo + shift(right), right.hi + shift(right))
-    if left:
-        left = Period(left.lo - shift(left), left.hi - shift(left))
+    left, right = settled(*aligned(rest, gone), pad)
     g_lo, g_hi = gone.edges()
     lo, hi = (left.lo if left else g_lo), (right.hi if right else g_hi)
     window = stored(expanded(gone, lo, hi), "gone")
@@ -180,7 +184,7 @@ def still_derivable(program: Program, rest: PeriodicModel, gone: PeriodicModel,
     rules = tuple(r for r in program.rules if r.head_rel and r.head_rel.pred in {x[0] for x in wanted.collect()})
     near = expanded(rest, lo - pad, hi + pad)
     ev = Evaluator(program)
-    heads = [_for_atoms(ev, r, near, window) for r in rules]
+    heads = [ev.for_atoms(r, near, window) for r in rules]
     heads.append(survivors)
     out = heads[0]
     for h in heads[1:]:
@@ -189,15 +193,6 @@ def still_derivable(program: Program, rest: PeriodicModel, gone: PeriodicModel,
     return PeriodicModel(stored(seeds, "restorable"), left, right)
 
 
-def _for_atoms(ev: Evaluator, rule, facts: DataFrame, atoms: DataFrame) -> DataFrame:
-    """Heads of a rule over facts, its body restricted to the head constants of atoms."""
-    from .evaluate import leaf
-
-    near = leaf(rule.head_rel, atoms).drop("lo", "hi").distinct()
-    shared = [c for c in near.columns if c.startswith("v_")]
-    return ev.head(rule, ev.body(rule, facts, near=near if shared else None))
-
-
 def restore(program: Program, rest: PeriodicModel, gone: PeriodicModel, explicit: DataFrame, span: tuple[int, int], options: Options, stats: StageStats) -> PeriodicModel:
     """What of gone holds without the removed facts."""
     began = time.perf_counter()
@@ -216,12 +211,24 @@ def extend(program: Program, pm: PeriodicModel, seeds: PeriodicModel, span: tupl
     return spread(program, pm, seeds, span, True, options, stats, options.grow)
 
 
-def maintain(program: Program, explicit: DataFrame, pm: PeriodicModel, removed: DataFrame, added: DataFrame, options: Options | None = None) -> tuple[DataFrame, PeriodicModel, UpdateStats]:
-    """The changed explicit facts, their model, and what each stage did."""
+def maintain(program: Program, explicit: DataFrame, pm: PeriodicModel | Patched, removed: DataFrame, added: DataFrame, options: Options | None = None) -> tuple[DataFrame, PeriodicModel | Patched, UpdateStats]:
+    """The changed explicit facts, their model, and what each stage did.
+
+    A small update (at most small.SMALL rows in any step) costs what it touches: the results are patches on explicit and
+    pm, to be written whole (`kept`) now and then. Others go through distributed frames, or, where that is cheaper, are
+    rebuilt (stats without stages then)."""
     options = options or Options()
     stats = UpdateStats({k: StageStats() for k in ("retract", "restore", "extend")})
+    if options.adaptive:
+        try:
+            return *small.update(program, explicit, pm, removed, added, options, stats), stats
+        except small.TooMany:
+            stats = UpdateStats({k: StageStats() for k in ("retract", "restore", "extend")})
     explicit = iv.coalesced(explicit, ATOM)
     removed, added = normalised(explicit, removed, added)
+    if options.adaptive and should_rebuild(program, explicit, removed.unionByName(added)):
+        target = stored(iv.sweep(iv.sweep(explicit, removed, "minus", ATOM), added, "union", ATOM), "explicit")
+        return target, rebuild(program, target, options), stats
     left_over = stored(iv.sweep(explicit, removed, "minus", ATOM), "explicit")
     target = stored(iv.coalesced(left_over.unionByName(added), ATOM), "explicit") if not added.isEmpty() else left_over
     (a, b), (c, d) = bounds(explicit), bounds(target)
@@ -246,9 +253,9 @@ def maintain(program: Program, explicit: DataFrame, pm: PeriodicModel, removed:
     return target, pm, stats
 
 
-def should_rebuild(program: Program, n_explicit: int, n_changed: int, threshold: float = 0.05) -> bool:
+def should_rebuild(program: Program, explicit: DataFrame, changed: DataFrame, threshold: float = 0.05) -> bool:
     """Large updates of rule sets without recursion are cheaper to rebuild."""
-    return not program.recursive() and n_changed > threshold * max(1, n_explicit)
+    return not program.recursive() and changed.count() > threshold * max(1, explicit.count())
 
 
 def is_saturated(program: Program, explicit: DataFrame, pm: PeriodicModel) -> bool:
@@ -280,10 +287,13 @@ def explain_fact(program: Program, pm: PeriodicModel, pred: str, args: list[str]
     pad = 2 * program.depth + 2
     facts = expanded(pm, cell - pad, cell + pad)
     ev = Evaluator(program)
-    wanted = facts.filter((F.col("pred") == pred) & (F.col("a0") == (str(args[0]) if args else "")))
+    wanted = facts.filter(F.col("pred") == pred)
+    for c, x in zip(ATOM[1:], args, strict=False):
+        wanted = wanted.filter(F.col(c) == str(x))
     out = None
     for i, r in enumerate(program.rules):
         if r.head_rel and r.head_rel.pred == pred:
-            got = iv.clipped(_for_atoms(ev, r, facts, wanted), cell, cell).select(F.lit(i).alias("rule"), *ATOM, "lo", "hi").distinct()
+            heads = iv.clipped(ev.for_atoms(r, facts, wanted), cell, cell).join(wanted.select(*ATOM).distinct(), ATOM, "left_semi")
+            got = heads.select(F.lit(i).alias("rule"), *ATOM, "lo", "hi").distinct()
             out = got if out is None else out.unionByName(got)
     return out if out is not None else no_facts(facts.sparkSession).select(F.lit(0).alias("rule"), "*")

@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,6 +38,8 @@ class PeriodicModel:
     core: DataFrame
     left: Period | None = None
     right: Period | None = None
+    #: Cells within which its explicit facts lie, if known.
+    span: tuple[int, int] | None = None
 
     def edges(self) -> tuple[int, int]:
         """Cells within which the core lies."""
@@ -44,11 +47,52 @@ class PeriodicModel:
         return (self.left.lo if self.left else lo), (self.right.hi if self.right else hi)
 
     def kept(self, name: str = "core") -> PeriodicModel:
-        return PeriodicModel(stored(self.core, name), self.left, self.right)
+        return PeriodicModel(stored(self.core, name), self.left, self.right, self.span)
 
 
-def expanded(pm: PeriodicModel, lo: int, hi: int) -> DataFrame:
+class Patched:
+    """A model of which some atoms were replaced: base without `atoms` (a small set of pred, a0, a1, a2), and patch, a
+    small model with those atoms and periods of its own. Merged on read; core, left and right are those of the whole."""
+
+    def __init__(self, base: PeriodicModel, atoms: frozenset, patch) -> None:
+        self.base, self.atoms, self.patch = base, atoms, patch
+        self._whole: PeriodicModel | None = None
+        self.span: tuple[int, int] | None = base.span
+
+    def parts(self) -> tuple[PeriodicModel, PeriodicModel]:
+        from . import small
+
+        spark = self.base.core.sparkSession
+        rest = self.base.core
+        if self.atoms:
+            rest = rest.join(small.atoms(spark, [(*a, 0, 0) for a in self.atoms]), ATOM, "left_anti")
+        return PeriodicModel(rest, self.base.left, self.base.right), self.patch.frames(spark)
+
+    def whole(self) -> PeriodicModel:
+        if self._whole is None:
+            rest, patch = self.parts()
+            left, right = aligned(PeriodicModel(self.base.core, self.base.left, self.base.right), self.patch)
+            lo, hi = (left.lo if left else -FAR), (right.hi if right else FAR)
+            self._whole = PeriodicModel(expanded(rest, lo, hi).unionByName(expanded(patch, lo, hi)), left, right, self.span)
+        return self._whole
+
+    core = property(lambda self: self.whole().core)
+    left = property(lambda self: self.whole().left if self.base.left or self.patch.left else None)
+    right = property(lambda self: self.whole().right if self.base.right or self.patch.right else None)
+
+    def edges(self) -> tuple[int, int]:
+        return self.whole().edges()
+
+    def kept(self, name: str = "core") -> PeriodicModel:
+        """The whole model, written anew."""
+        return self.whole().kept(name)
+
+
+def expanded(pm: PeriodicModel | Patched, lo: int, hi: int) -> DataFrame:
     """All facts within the cells [lo, hi]; copies of a period are made only where they fall into it."""
+    if isinstance(pm, Patched):
+        rest, patch = pm.parts()
+        return expanded(rest, lo, hi).unionByName(expanded(patch, lo, hi))
     parts = [iv.clipped(pm.core, max(lo, pm.left.lo) if pm.left else lo, min(hi, pm.right.hi) if pm.right else hi)]
     if pm.right and hi > pm.right.hi:
         parts.append(_copies(iv.clipped(pm.core, pm.right.lo, pm.right.hi), pm.right.cells, max(1, (lo - pm.right.hi) // pm.right.cells), (hi - pm.right.lo) // pm.right.cells))
@@ -67,6 +111,14 @@ def _copies(df: DataFrame, step: int, first: int, last: int) -> DataFrame:
 
 
 def aligned(a: PeriodicModel, b: PeriodicModel, most_cells: int = 10_000_000) -> tuple[Period | None, Period | None]:
+    """common_periods, with a bound on their length."""
+    left, right = common_periods(a, b)
+    if any(p and p.cells > most_cells for p in (left, right)):
+        raise OverflowError("the common period is too long; rebuild instead")
+    return left, right
+
+
+def common_periods(a, b) -> tuple[Period | None, Period | None]:
     """Common periods of two models: as long as the least common multiple, from where both repeat; a model without a
     period on a side is empty beyond its core there, and the other's period is moved past that core."""
     if not (a.left or b.left or a.right or b.right):
@@ -83,16 +135,25 @@ def aligned(a: PeriodicModel, b: PeriodicModel, most_cells: int = 10_000_000) ->
         end = min(a.left.hi if a.left else alo - 1, b.left.hi if b.left else blo - 1)
         end -= 1 - end % 2
         left = Period(end - n + 1, end)
-    if any(p and p.cells > most_cells for p in (left, right)):
-        raise OverflowError("the common period is too long; rebuild instead")
     return left, right
 
 
+def settled(left: Period | None, right: Period | None, pad: int) -> tuple[Period | None, Period | None]:
+    """The first whole periods past which every rule body sees repeating facts only."""
+    shift = lambda p: -(-(2 * pad) // p.cells) * p.cells
+    return left and Period(left.lo - shift(left), left.hi - shift(left)), right and Period(right.lo + shift(right), right.hi + shift(right))
+
+
 def _combined(a: PeriodicModel, b: PeriodicModel, keep: str) -> PeriodicModel:
     left, right = aligned(a, b)
     lo, hi = (left.lo if left else -FAR), (right.hi if right else FAR)
-    core = iv.sweep(expanded(a, lo, hi), expanded(b, lo, hi), keep, ATOM)
-    return PeriodicModel(core, left, right)
+    x, y = expanded(a, lo, hi), expanded(b, lo, hi)
+    if keep == "intersect":
+        return PeriodicModel(iv.sweep(x, y, keep, ATOM), left, right, a.span)
+    # Atoms that b lacks stay as they are.
+    names = y.select(*ATOM).distinct()
+    met = iv.sweep(x.join(names, ATOM, "left_semi"), y, keep, ATOM)
+    return PeriodicModel(x.join(names, ATOM, "left_anti").select(*fact_columns()).unionByName(met), left, right, a.span)
 
 
 def pm_union(a: PeriodicModel, b: PeriodicModel) -> PeriodicModel:
@@ -128,8 +189,13 @@ def entails(pm: PeriodicModel, pred: str, args: list[str], start: int, end: int)
     return not found.filter((F.col("lo") <= start) & (F.col("hi") >= end)).isEmpty()
 
 
-def shift_equal(facts: DataFrame, first: tuple[int, int], second: tuple[int, int]) -> bool:
-    """Whether two windows of cells have the same contents up to shift: equal hashes first, then exactly."""
+def shift_equal(facts: DataFrame | list, first: tuple[int, int], second: tuple[int, int]) -> bool:
+    """Whether two windows of cells have the same contents up to shift."""
+    if isinstance(facts, list):
+        from . import small
+
+        a, b = small.clipped(facts, *first), small.clipped(facts, *second)
+        return sorted(small.merged(a)) == sorted((*r[:4], r[4] + first[0] - second[0], r[5] + first[0] - second[0]) for r in small.merged(b))
     a, b = iv.clipped(facts, *first), iv.shifted(iv.clipped(facts, *second), first[0] - second[0])
     return iv.sweep(a, b, "symdiff", ATOM).isEmpty()
 
@@ -145,17 +211,24 @@ class Zone:
     hi: int
 
 
-def profile(facts: DataFrame, zone: Zone) -> dict[int, int]:
+def profile(facts: DataFrame | list, zone: Zone) -> dict[int, int]:
     """Cells at which the set of true atoms changes, with a combined hash of the changes: one row for each such cell."""
+    if isinstance(facts, list):
+        from . import small
+
+        out: dict[int, int] = {}
+        for r in small.merged(small.clipped(facts, zone.lo, zone.hi)):
+            for at in (r[4], r[5] + 1):
+                out[at] = out.get(at, 0) ^ hash(r[:4])
+        return out
     inside = iv.clipped(facts, zone.lo, zone.hi)
     h = F.xxhash64(*ATOM)
     ends = inside.select(F.explode(F.array(F.struct(F.col("lo").alias("at"), h.alias("h")), F.struct((F.col("hi") + 1).alias("at"), h.alias("h")))).alias("e"))
     return {r["at"]: r["x"] for r in ends.select("e.*").groupBy("at").agg(F.bit_xor("h").alias("x")).collect()}
 
 
-def first_repeat(changes: dict[int, int], zone: Zone, window: int, step: int | None, from_left: bool) -> tuple[int, int] | None:
-    """(start, offset) of two windows of `window` cells with equal profiles: the least offset (a multiple of step, if
-    given), then the place nearest the data. Windows open on instants for a left period and close on instants for a right."""
+def first_repeat_naive(changes: dict[int, int], zone: Zone, window: int, step: int | None, from_left: bool) -> tuple[int, int] | None:
+    """first_repeat by comparing all pairs of cells: its oracle."""
     n = zone.hi - zone.lo + 1
     if n < window + 2:
         return None
@@ -179,6 +252,63 @@ def first_repeat(changes: dict[int, int], zone: Zone, window: int, step: int | N
     return None
 
 
+def first_repeat(changes: dict[int, int], zone: Zone, window: int, step: int | None, from_left: bool) -> tuple[int, int] | None:
+    """(start, offset) of two windows of `window` cells with equal profiles: the least offset (a multiple of step, if
+    given), then the place nearest the data. Windows open on instants for a left period and close on instants for a right.
+
+    Works on stretches between changes: only offsets that move one stretch onto another with the same contents count."""
+    n = zone.hi - zone.lo + 1
+    step = step or 2
+    if n < window + step:
+        return None
+    # Stretches (first, last, contents) by distance from the data.
+    stretches, state = [], changes.get(zone.lo, 0)
+    cuts = sorted(c for c, h in changes.items() if zone.lo < c <= zone.hi and h)
+    begin = zone.lo
+    for c in [*cuts, zone.hi + 1]:
+        stretches.append((begin, c - 1, state))
+        state ^= changes.get(c, 0)
+        begin = c
+    stretches = [(a - zone.lo, b - zone.lo, s) for a, b, s in stretches] if from_left else [(zone.hi - b, zone.hi - a, s) for a, b, s in reversed(stretches)]
+    firsts = np.array([a for a, _, _ in stretches])
+    codes = {s: i for i, s in enumerate(dict.fromkeys(s for _, _, s in stretches))}
+    kinds = np.array([codes[s] for _, _, s in stretches])
+    parity = zone.lo % 2 if from_left else zone.hi % 2
+
+    def found(offset: int) -> int | None:
+        # Ends of stretches of the profile and of the moved one; equal between them or not.
+        cut = np.unique(np.concatenate([firsts, firsts - offset, [0, n - offset]]))
+        cut = cut[(cut >= 0) & (cut <= n - offset)]
+        kind = lambda at: kinds[np.searchsorted(firsts, at, "right") - 1]
+        same = kind(cut[:-1]) == kind(cut[:-1] + offset)
+        edge = np.flatnonzero(np.diff(np.concatenate([[0], same.astype(np.int8), [0]])))
+        for i, j in zip(edge[::2], edge[1::2], strict=True):
+            start = int(cut[i]) + (int(cut[i]) + parity) % 2
+            if start + window <= int(cut[j]):
+                return start
+        return None
+
+    offsets: set[int] = set()
+    for kind in range(len(codes)):
+        own = np.flatnonzero(kinds == kind)
+        begins, ends = firsts[own], np.array([stretches[i][1] for i in own])
+        if (ends - begins + 1 >= window + step).any():
+            offsets.add(step)
+        # A change within the window moves onto an equal change; a window without one lies in two long stretches.
+        for m in range(len(own)):
+            apart = begins[m + 1 :] - begins[m]
+            offsets.update(int(x) for x in apart[(apart % step == 0) & (apart > 0)])
+            if ends[m] - begins[m] + 1 >= window:
+                for lo, hi in zip(begins[m + 1 :] - (ends[m] - window + 1), ends[m + 1 :] - window + 1 - begins[m], strict=True):
+                    x = max(step, -(-int(lo) // step) * step)
+                    # The least offsets that fit, one for each place of the first window's opening.
+                    offsets.update(y for y in (x, x + step) if y <= int(hi) + 1)
+    for offset in sorted(offsets):
+        if offset <= n - window and (start := found(offset)) is not None:
+            return (zone.lo + start if from_left else zone.hi - start - window + 1), offset
+    return None
+
+
 @dataclass
 class Repeat:
     left: Period | None
@@ -186,7 +316,7 @@ class Repeat:
     compared: int
 
 
-def find_periods(facts: DataFrame, depth: int, span: tuple[int, int], delta: tuple[int | None, int | None, bool], base_left: Period | None, base_right: Period | None, reach: tuple[int, int]) -> Repeat | None:
+def find_periods(facts: DataFrame | list, depth: int, span: tuple[int, int], delta: tuple[int | None, int | None, bool], base_left: Period | None, base_right: Period | None, reach: tuple[int, int]) -> Repeat | None:
     """Periods of a growing set of facts, or None if there is no certificate yet.
 
     delta: last round's greatest cell before the span, least cell after it, and whether it touches the span;
@@ -227,11 +357,11 @@ def find_periods(facts: DataFrame, depth: int, span: tuple[int, int], delta: tup
 def save_model(pm: PeriodicModel, path: str, version: int = 0) -> None:
     """A version folder of facts by predicate; the metadata row that names it comes last, so readers see whole versions."""
     pm.core.write.mode("overwrite").partitionBy("pred").parquet(f"{path}/v{version}")
-    write_text(pm.core.sparkSession, f"{path}/current", {"version": version, "left": pm.left and [pm.left.lo, pm.left.hi], "right": pm.right and [pm.right.lo, pm.right.hi]})
+    write_text(pm.core.sparkSession, f"{path}/current", {"version": version, "left": pm.left and [pm.left.lo, pm.left.hi], "right": pm.right and [pm.right.lo, pm.right.hi], "span": pm.span})
 
 
 def load_model(spark, path: str) -> PeriodicModel:
     meta = read_text(spark, f"{path}/current")
     core = spark.read.schema("pred string, a0 string, a1 string, a2 string, lo long, hi long").parquet(f"{path}/v{meta['version']}").select(*fact_columns())
     p = lambda x: Period(*x) if x else None
-    return PeriodicModel(core, p(meta["left"]), p(meta["right"]))
+    return PeriodicModel(core, p(meta["left"]), p(meta["right"]), tuple(meta["span"]) if meta.get("span") else None)

@@ -24,19 +24,29 @@ def binding_columns(df: DataFrame) -> list[str]:
     return [c for c in df.columns if c.startswith("v_")]
 
 
-def leaf(rel: Rel, facts: DataFrame, near: DataFrame | None = None) -> DataFrame:
-    """Bindings of a relational atom: constants and repeated variables become filters."""
-    df = facts.filter(F.col("pred") == rel.pred)
+def leaf(rel: Rel, facts, near: DataFrame | None = None) -> DataFrame:
+    """Bindings of a relational atom: constants and repeated variables become filters. facts: a fact frame, or a stretch
+    of a model (periodic.Stretch), of which only what the atom asks for is expanded."""
     first: dict[str, str] = {}
+    tests = [F.col("pred") == rel.pred]
     for t, a in zip(rel.terms, ARGS, strict=False):
         if not isinstance(t, Var):
-            df = df.filter(F.col(a) == str(t))
+            tests.append(F.col(a) == str(t))
         elif t.name in first:
-            df = df.filter(F.col(a) == F.col(first[t.name]))
+            tests.append(F.col(a) == F.col(first[t.name]))
         else:
             first[t.name] = a
-    df = df.select(*[F.col(a).alias(v(n)) for n, a in first.items()], "lo", "hi")
-    return restricted(df, near)
+    named = [F.col(a).alias(v(n)) for n, a in first.items()]
+    shared = [n for n in first if near is not None and v(n) in near.columns]
+
+    def asked(df: DataFrame) -> DataFrame:
+        for t in tests:
+            df = df.filter(t)
+        # Before periods are copied, so that copies are made of what is near only.
+        return df.join(near.select(*[F.col(v(n)).alias(first[n]) for n in shared]), [first[n] for n in shared], "left_semi") if shared else df
+
+    df = asked(facts) if isinstance(facts, DataFrame) else facts.of(asked)
+    return df.select(*named, "lo", "hi")
 
 
 def restricted(df: DataFrame, near: DataFrame | None) -> DataFrame:
@@ -173,7 +183,7 @@ class Evaluator:
         """Heads of rule instances over facts that use a point of delta (part of facts).
 
         any_derivation: every such instance. body_change: only where the body fails without delta.
-        chain: a rule that only moves its own predicate is followed through so many applications at once. raw: heads may overlap."""
+        chain: a rule that only moves its own predicate (`moves`) is followed through so many applications at once. raw: heads may overlap."""
         parts = []
         for rule in self.program.rules:
             seeds = []
@@ -187,7 +197,7 @@ class Evaluator:
             if mode == "body_change":
                 rest = iv.sweep(facts.select(*fact_columns()), delta.select(*fact_columns()), "minus", ATOM)
                 new = iv.sweep(new, self.body(rule, rest, near=new).select(*new.columns), "minus")
-            parts.append(self._chained(rule, new, chain) if chain > 1 and self.self_moving(rule) else self.head(rule, new))
+            parts.append(self._chained(rule, new, chain) if chain > 1 and self.moves(rule) else self.head(rule, new))
         if not parts:
             return no_facts(facts.sparkSession)
         return union_all(parts) if raw else iv.coalesced(union_all(parts), ATOM)
@@ -198,24 +208,40 @@ class Evaluator:
         shared = [c for c in near.columns if c.startswith("v_")]
         return self.head(rule, self.body(rule, facts, near=near if shared else None))
 
-    @staticmethod
-    def self_moving(rule: Rule) -> bool:
-        """A rule whose head moves in time what its body, the same single atom, says."""
-        return isinstance(rule.head, Unary) and isinstance(rule.head.of, Rel) and rule.body == (rule.head.of,)
+    def moves(self, rule: Rule) -> tuple[int, int, int] | None:
+        """How far one application of a rule moves both ends of an interval, and the least change of its width on the
+        way, if the rule says of its only atom, under unary operators, what its head says, in whole closed ranges."""
+        if len(rule.body) != 1 or rule.head_rel is None:
+            return None
+        steps, m = [], rule.body[0]
+        while isinstance(m, Unary):
+            steps.insert(0, (m.op, self.range(m.span)))
+            m = m.of
+        if m != rule.head_rel or not isinstance(rule.head, Unary):
+            return None
+        m = rule.head
+        while isinstance(m, Unary):
+            # What holds at all instants ahead of a fact is the fact seen from behind.
+            steps.append(("PAST_SOME" if m.op == "NEXT_ALL" else "NEXT_SOME", self.range(m.span)))
+            m = m.of
+        low = high = narrowest = 0
+        for op, r in steps:
+            if r.lo % 2 or r.hi % 2:
+                return None
+            near, far = (r.lo, r.hi) if op in ("PAST_SOME", "NEXT_ALL") else (r.hi, r.lo)
+            sign = 1 if op.startswith("PAST") else -1
+            low, high = low + sign * near, high + sign * far
+            narrowest = min(narrowest, high - low)
+        return low, high, narrowest
 
     def _chained(self, rule: Rule, bindings: DataFrame, times: int) -> DataFrame:
-        head = rule.head
-        r = self.range(head.span)
-        sign = 1 if head.op == "NEXT_ALL" else -1
+        """Heads of an application and of up to times - 1 more to each head alone."""
         once = self.head(rule, bindings)
-        # n more applications widen by n ranges; range ends are applied whole so that open ends stay open.
+        low, high, narrowest = self.moves(rule)
         n = F.col("_n")
-        low, high = (r.lo, r.hi) if sign > 0 else (-r.hi, -r.lo)
-        even = r.lo % 2 == 0 and r.hi % 2 == 0
-        if not even:
-            return once
         copies = once.withColumn("_n", F.explode(F.sequence(F.lit(0), F.lit(times - 1))))
-        return copies.withColumn("lo", F.col("lo") + n * low).withColumn("hi", F.col("hi") + n * high).drop("_n")
+        wide = F.col("hi") - F.col("lo") + (n - 1) * min(0, high - low) + narrowest >= 0
+        return copies.filter((n == 0) | wide).withColumn("lo", F.col("lo") + n * low).withColumn("hi", F.col("hi") + n * high).drop("_n")
 
 
 def bounds(df: DataFrame) -> tuple[int, int]:

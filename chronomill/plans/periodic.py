@@ -41,9 +41,13 @@ class PeriodicModel:
     #: Cells within which its explicit facts lie, if known.
     span: tuple[int, int] | None = None
 
+    @property
+    def spark(self):
+        return self.core.sparkSession
+
     def edges(self) -> tuple[int, int]:
         """Cells within which the core lies."""
-        lo, hi = bounds(self.core)
+        lo, hi = (0, 0) if self.left and self.right else bounds(self.core)
         return (self.left.lo if self.left else lo), (self.right.hi if self.right else hi)
 
     def kept(self, name: str = "core") -> PeriodicModel:
@@ -57,28 +61,38 @@ class Patched:
     def __init__(self, base: PeriodicModel, atoms: frozenset, patch) -> None:
         self.base, self.atoms, self.patch = base, atoms, patch
         self._whole: PeriodicModel | None = None
+        self._parts: tuple[PeriodicModel, PeriodicModel] | None = None
         self.span: tuple[int, int] | None = base.span
 
     def parts(self) -> tuple[PeriodicModel, PeriodicModel]:
         from . import small
 
-        spark = self.base.core.sparkSession
-        rest = self.base.core
-        if self.atoms:
-            rest = rest.join(small.atoms(spark, [(*a, 0, 0) for a in self.atoms]), ATOM, "left_anti")
-        return PeriodicModel(rest, self.base.left, self.base.right), self.patch.frames(spark)
+        if self._parts is None:
+            rest = self.base.core
+            if self.atoms:
+                rest = rest.join(small.atoms(self.spark, [(*a, 0, 0) for a in self.atoms]), ATOM, "left_anti").select(*fact_columns())
+            self._parts = PeriodicModel(rest, self.base.left, self.base.right), self.patch.frames(self.spark)
+        return self._parts
+
+    @property
+    def spark(self):
+        return self.base.core.sparkSession
 
     def whole(self) -> PeriodicModel:
         if self._whole is None:
             rest, patch = self.parts()
-            left, right = aligned(PeriodicModel(self.base.core, self.base.left, self.base.right), self.patch)
+            left, right = self._periods()
             lo, hi = (left.lo if left else -FAR), (right.hi if right else FAR)
             self._whole = PeriodicModel(expanded(rest, lo, hi).unionByName(expanded(patch, lo, hi)), left, right, self.span)
         return self._whole
 
     core = property(lambda self: self.whole().core)
-    left = property(lambda self: self.whole().left if self.base.left or self.patch.left else None)
-    right = property(lambda self: self.whole().right if self.base.right or self.patch.right else None)
+    # The periods of the whole, without expanding it.
+    left = property(lambda self: self._periods()[0])
+    right = property(lambda self: self._periods()[1])
+
+    def _periods(self) -> tuple[Period | None, Period | None]:
+        return aligned(PeriodicModel(self.base.core, self.base.left, self.base.right), self.patch)
 
     def edges(self) -> tuple[int, int]:
         return self.whole().edges()
@@ -88,11 +102,35 @@ class Patched:
         return self.whole().kept(name)
 
 
-def expanded(pm: PeriodicModel | Patched, lo: int, hi: int) -> DataFrame:
-    """All facts within the cells [lo, hi]; copies of a period are made only where they fall into it."""
+class Stretch:
+    """The facts of a model within cells, not expanded yet; known: frame of atoms and their facts that stand for the model's."""
+
+    def __init__(self, pm: PeriodicModel | Patched, lo: int, hi: int, known: tuple[DataFrame, DataFrame] | None = None) -> None:
+        self.pm, self.lo, self.hi, self.known = pm, lo, hi, known
+
+    @property
+    def sparkSession(self):  # noqa: N802
+        return self.of(lambda df: df).sparkSession
+
+    def of(self, asked) -> DataFrame:
+        """What `asked` (a filter of fact frames by atom) leaves, expanded."""
+        if not self.known:
+            return expanded(self.pm, self.lo, self.hi, asked)
+        names, facts = self.known
+        return expanded(self.pm, self.lo, self.hi, lambda df: asked(df).join(names, ATOM, "left_anti").select(*fact_columns())).unionByName(asked(facts).select(*fact_columns()))
+
+    def select(self, *columns) -> DataFrame:
+        return self.of(lambda df: df).select(*columns)
+
+
+def expanded(pm: PeriodicModel | Patched, lo: int, hi: int, asked=None) -> DataFrame:
+    """All facts within the cells [lo, hi]; copies of a period are made only where they fall into it. asked: a filter of
+    fact frames by atom, applied before."""
     if isinstance(pm, Patched):
         rest, patch = pm.parts()
-        return expanded(rest, lo, hi).unionByName(expanded(patch, lo, hi))
+        return expanded(rest, lo, hi, asked).unionByName(expanded(patch, lo, hi, asked))
+    if asked:
+        pm = PeriodicModel(asked(pm.core).select(*fact_columns()), pm.left, pm.right)
     parts = [iv.clipped(pm.core, max(lo, pm.left.lo) if pm.left else lo, min(hi, pm.right.hi) if pm.right else hi)]
     if pm.right and hi > pm.right.hi:
         parts.append(_copies(iv.clipped(pm.core, pm.right.lo, pm.right.hi), pm.right.cells, max(1, (lo - pm.right.hi) // pm.right.cells), (hi - pm.right.lo) // pm.right.cells))
@@ -123,16 +161,15 @@ def common_periods(a, b) -> tuple[Period | None, Period | None]:
     period on a side is empty beyond its core there, and the other's period is moved past that core."""
     if not (a.left or b.left or a.right or b.right):
         return None, None
-    (alo, ahi), (blo, bhi) = a.edges(), b.edges()
     right = left = None
     if a.right or b.right:
         n = math.lcm(*[p.cells for p in (a.right, b.right) if p])
-        start = max(a.right.lo if a.right else ahi + 1, b.right.lo if b.right else bhi + 1)
+        start = max(m.right.lo if m.right else m.edges()[1] + 1 for m in (a, b))
         start += 1 - start % 2
         right = Period(start, start + n - 1)
     if a.left or b.left:
         n = math.lcm(*[p.cells for p in (a.left, b.left) if p])
-        end = min(a.left.hi if a.left else alo - 1, b.left.hi if b.left else blo - 1)
+        end = min(m.left.hi if m.left else m.edges()[0] - 1 for m in (a, b))
         end -= 1 - end % 2
         left = Period(end - n + 1, end)
     return left, right

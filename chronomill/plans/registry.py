@@ -129,12 +129,6 @@ def interval_join(spark, sf_dir):
     return shown(iv.overlap_join(iv.coalesced(a), iv.coalesced(b), ["u"]), "u")
 
 
-@query("SELECT o_custkey AS c, l_orderkey AS o, l_linenumber AS line, date_diff('day', DATE '1970-01-01', l_shipdate::DATE)::BIGINT AS ship, (SELECT max(date_diff('day', DATE '1970-01-01', p.o_orderdate::DATE)) FROM orders p WHERE p.o_custkey = q.o_custkey AND p.o_orderdate::DATE <= l.l_shipdate::DATE)::BIGINT AS last_order FROM lineitem l JOIN orders q ON l_orderkey = o_orderkey WHERE l_linenumber = 1")
-def as_of_orders(spark, sf_dir):
-    """The first line of each order, as the SQL has it; as_of_lines takes every line."""
-    return as_of_lines(spark, sf_dir).filter("line = 1")
-
-
 @query("WITH q AS (SELECT o_custkey AS c, l_orderkey AS o, l_linenumber AS line, l_shipdate::DATE AS d FROM lineitem JOIN orders ON l_orderkey = o_orderkey), v AS (SELECT DISTINCT o_custkey AS c, o_orderdate::DATE AS d FROM orders) SELECT q.c, q.o, q.line, date_diff('day', DATE '1970-01-01', q.d)::BIGINT AS ship, date_diff('day', DATE '1970-01-01', v.d)::BIGINT AS last_order FROM q ASOF LEFT JOIN v ON q.c = v.c AND q.d >= v.d")
 def as_of_lines(spark, sf_dir):
     orders = wl.table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("c"), F.col("o_orderkey").alias("o"), wl.ticks.days(F.col("o_orderdate")).alias("at"))
@@ -371,10 +365,10 @@ def rebuild_wfault(spark, sf_dir):
     return derived(wl.built(spark, sf_dir, "fault")[1], ("fault",), _x())
 
 
-def _updated(spark, sf_dir, name: str, k=None, frac=None, insert=False, options=None) -> tuple[wl.Workload, pr.PeriodicModel, mt.UpdateStats]:
+def _updated(spark, sf_dir, name: str, k=None, frac=None, insert=False, options=None, seed=1) -> tuple[wl.Workload, pr.PeriodicModel, mt.UpdateStats]:
     """The model after a draw is removed, or after it is put back into the model without it."""
     w, pm = wl.built(spark, sf_dir, name)
-    drawn = wl.draws(spark, w, k, frac)
+    drawn = wl.draws(spark, w, k, frac, seed)
     nothing = wl.mt.no_facts(spark)
     left, out, stats = mt.maintain(w.program, w.explicit, pm, drawn, nothing, options)
     if insert:
@@ -459,6 +453,28 @@ def body_change_affected(spark, sf_dir):
     return shown(Evaluator(w.program).affected(pm.core, wl.draws(spark, w, 100), {"reading_hi"}, "body_change"), "pred", F.col("a0").cast("long").alias("x"))
 
 
+_TAPS = "tap AS (SELECT DISTINCT u, 2 * t AS lo, 2 * t AS hi FROM ev WHERE c = 'click')"
+_LATE = "(SELECT u, lo, hi + 172800 AS hi FROM {})"
+_COVERED = _LATE.format("rest")
+
+
+@query(f"""WITH {EV}, {_TAPS}, gone AS {drawn_sql('tap', 'u', 'tap', '100')}, rest AS (SELECT * FROM tap EXCEPT SELECT * FROM gone),
+ late AS {sql_coalesced(_LATE.format('gone'), 'u')}, lost AS {sql_swept('late', _COVERED, 'minus', 'u')}, held AS {sql_swept('late', _COVERED, 'intersect', 'u')}
+ SELECT 'any_derivation' AS operator, (SELECT count(*) FROM gone) + (SELECT count(*) FROM late) AS retracted, (SELECT count(*) FROM held) AS restored
+ UNION ALL SELECT 'body_change', (SELECT count(*) FROM gone) + (SELECT count(*) FROM lost), 0::BIGINT""")
+def two_operators(spark, sf_dir):
+    """The two affected-only operators apart: what a second witness (another click within a day) still gives is retracted
+    and restored by the one that follows every derivation, and never touched by the one that tests the whole body."""
+    program = parse_program("busy(u) :- PAST_SOME[0,86400] tap(u).")
+    taps = wl.facts_at(wl.events(spark, sf_dir).filter("c = 'click'"), "tap", ["u"], F.col("t"))
+    explicit = stored(iv.coalesced(taps, ATOM), "explicit")
+    pm, drawn, rows = mt.rebuild(program, explicit), stored(wl.draw_update(explicit, 100), "draw"), []
+    for operator in ("any_derivation", "body_change"):
+        _, _, stats = mt.maintain(program, explicit, pm, drawn, wl.mt.no_facts(spark), mt.Options(retract=operator))
+        rows.append((operator, stats.stages["retract"].facts, stats.stages["restore"].facts))
+    return spark.createDataFrame(rows, "operator string, retracted long, restored long")
+
+
 _SHIPS = sql_coalesced("(SELECT l_partkey AS p, 2 * date_diff('day', DATE '1970-01-01', l_shipdate::DATE)::BIGINT AS lo, 2 * (date_diff('day', DATE '1970-01-01', l_shipdate::DATE) + 5)::BIGINT AS hi FROM lineitem WHERE l_quantity > 25)", "p")
 
 
@@ -470,14 +486,14 @@ def rebuild_wmet_twin(spark, sf_dir):
 # Highly recursive rules: days on which each predicate holds, in closed form up to day 150.
 
 
-def generated_sql(removed: str = "") -> str:
+def generated_sql(removed: str = "", facts: str = "") -> str:
     first = "(SELECT u, c, min(floor((t - 1704067200) / 86400.0))::BIGINT AS d FROM ev GROUP BY u, c)"
     chain = lambda p, c, n: f"(SELECT u, unnest(generate_series(d, 150, {n}))::BIGINT AS d FROM {first} f WHERE c = '{c}'{removed.replace('PRED', p)})"
     six = f"(SELECT DISTINCT x.u, x.d FROM {chain('a0', 'view', 2)} x JOIN {chain('a1', 'click', 3)} y ON x.u = y.u AND x.d = y.d)"
     five = f"(SELECT u, d FROM {chain('a2', 'purchase', 5)} UNION SELECT u, unnest(generate_series(d, 150, 5))::BIGINT FROM {six} s)"
     rows = f"SELECT 'g3' AS pred, u, d FROM {chain('a0', 'view', 2)} UNION SELECT 'g4', u, d FROM {chain('a1', 'click', 3)} UNION SELECT 'g5', u, d FROM {five} z UNION SELECT 'g6', u, d FROM {six} s UNION SELECT 'g7', u, d FROM {six} s UNION SELECT 'g8', s.u, s.d FROM {six} s JOIN {five} z ON s.u = z.u AND s.d = z.d"
     cells_ = f"(SELECT pred, u AS x, 2 * d AS lo, 2 * d + 1 AS hi FROM ({rows}) WHERE d <= 119)"
-    return f"WITH {EV} " + sql_shown(sql_coalesced(cells_, "pred, x"), "pred, x")
+    return f"WITH {EV}{facts} " + sql_shown(sql_coalesced(cells_, "pred, x"), "pred, x")
 
 
 def _days(pm: pr.PeriodicModel) -> DataFrame:
@@ -490,25 +506,26 @@ def rebuild_wgen(spark, sf_dir):
     return _days(wl.built(spark, sf_dir, "generated")[1])
 
 
-def _generated_removed(spark, w: wl.Workload) -> DataFrame:
-    return stored(w.explicit.filter((F.col("a0").cast("long") % 50 == 7) & F.col("pred").isin("a0", "a2")), "draw")
+_GENERATED_FACTS = "(SELECT CASE c WHEN 'view' THEN 'a0' WHEN 'click' THEN 'a1' ELSE 'a2' END AS pred, u, min(floor((t - 1704067200) / 86400.0))::BIGINT AS d FROM ev WHERE c IN ('view', 'click', 'purchase') GROUP BY ALL)"
 
 
-_GONE = " AND NOT (u % 50 = 7 AND 'PRED' IN ('a0', 'a2'))"
+def generated_left(k: str, seed: int) -> str:
+    """Without a draw from all explicit facts."""
+    by = f"md5(concat_ws('|', '{seed}', pred, u::VARCHAR, '', '', (2 * d)::VARCHAR, (2 * d + 1)::VARCHAR)), pred, u::VARCHAR, d"
+    drawn = f", g AS (SELECT pred, u FROM (SELECT *, row_number() OVER (ORDER BY {by}) AS r, count(*) OVER () AS n FROM {_GENERATED_FACTS}) WHERE r <= {k})"
+    return generated_sql(" AND u NOT IN (SELECT u FROM g WHERE pred = 'PRED')", drawn)
 
 
-@query(generated_sql(_GONE))
-def maintain_wgen_del(spark, sf_dir):
-    w, pm = wl.built(spark, sf_dir, "generated")
-    return _days(mt.maintain(w.program, w.explicit, pm, _generated_removed(spark, w), wl.mt.no_facts(spark))[1])
+for _k, _frac, _size, _seed in ((100, None, "100", 1), (None, 0.1, "10pct", 2)):
 
+    def _gone(spark, sf_dir, k=_k, frac=_frac, seed=_seed):
+        return _days(_updated(spark, sf_dir, "generated", k, frac, seed=seed)[1])
 
-@query(generated_sql())
-def maintain_wgen_ins(spark, sf_dir):
-    w, pm = wl.built(spark, sf_dir, "generated")
-    drawn = _generated_removed(spark, w)
-    less = stored(w.explicit.filter(~((F.col("a0").cast("long") % 50 == 7) & F.col("pred").isin("a0", "a2"))), "explicit")
-    return _days(mt.maintain(w.program, less, mt.rebuild(w.program, less), wl.mt.no_facts(spark), drawn)[1])
+    def _put_back(spark, sf_dir, k=_k, frac=_frac, seed=_seed):
+        return _days(_updated(spark, sf_dir, "generated", k, frac, insert=True, seed=seed)[1])
+
+    query(generated_left("100" if _k else "ceil(n * 0.1)", _seed), f"maintain_wgen_del{_size}")(_gone)
+    query(generated_sql(), f"maintain_wgen_ins{_size}")(_put_back)
 
 
 # Conversations.
@@ -597,6 +614,18 @@ def maintain_wuni_del10pct(spark, sf_dir):
     return _traded(mt.maintain(w.program, w.explicit, pm, _orders_removed(w, frac=0.1), wl.mt.no_facts(spark))[1])
 
 
+@query()
+def equal_wuni(spark, sf_dir):
+    """Every head of the mildly recursive rules after a draw of 100 from all explicit facts is removed: facts of the
+    rebuilt model, and what only the maintained or only the rebuilt model has (none)."""
+    w, pm = wl.built(spark, sf_dir, "trade")
+    target, out, _ = mt.maintain(w.program, w.explicit, pm, stored(wl.draw_update(w.explicit, 100), "draw"), wl.mt.no_facts(spark))
+    out, fresh = out.kept("maintained"), mt.rebuild(w.program, stored(iv.coalesced(target, ATOM), "explicit"))
+    count = lambda pm, name: pm.core.filter(F.col("pred").isin(*w.program.heads)).groupBy("pred").agg(F.count(F.lit(1)).alias(name))
+    parts = count(fresh, "facts").join(count(pr.pm_minus(out, fresh), "only_maintained"), "pred", "full").join(count(pr.pm_minus(fresh, out), "only_rebuilt"), "pred", "full")
+    return parts.fillna(0)
+
+
 # Updates as such, checks and measures.
 
 

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..sources.store import fact_columns, no_facts, union_all
 from .evaluate import ATOM, Evaluator, bounds
-from .periodic import FAR, Patched, Period, PeriodicModel, Repeat, common_periods, expanded, find_periods, settled
+from .periodic import FAR, Patched, Period, PeriodicModel, Repeat, Stretch, common_periods, expanded, find_periods, settled
 from .rules import Program
 
 #: Rows that a delta, or what is looked up for it, may have at the driver.
@@ -193,19 +193,48 @@ class Delta:
         return max((r[5] for r in self.rows if r[5] < a), default=None), min((r[4] for r in self.rows if r[4] > b), default=None), any(r[4] <= b and r[5] >= a for r in self.rows)
 
 
-def together(spark: SparkSession, base: DataFrame, known: list[Row]) -> DataFrame:
-    """base and known as maximal intervals; only atoms of known can have become longer."""
-    if not known:
-        return base
-    names = atoms(spark, known)
-    met = fetched(base.join(names, ATOM, "left_semi"))
-    return base.join(names, ATOM, "left_anti").unionByName(frame(spark, merged(met, known)))
+class Probe:
+    """What a model has of the atoms met so far: each is fetched once, whole."""
+
+    def __init__(self, pm: PeriodicModel | Patched) -> None:
+        self.pm, self.spark = pm, pm.spark
+        self.met, self.atoms = SmallModel([], pm.left, pm.right), set()
+
+    def meet(self, rows: list[Row]) -> None:
+        fresh = [r for r in rows if r[:4] not in self.atoms]
+        if fresh:
+            got = restricted(self.pm, fresh)
+            if (got.left, got.right) != (self.met.left, self.met.right):
+                got = combined(self.met, got, merged)
+                self.met = got
+            else:
+                self.met = SmallModel(self.met.rows + got.rows, got.left, got.right)
+            self.atoms |= {r[:4] for r in fresh}
+            if len(self.met.rows) > 10 * SMALL:
+                raise TooMany
+
+    def with_known(self, known: list[Row], lo: int, hi: int) -> Stretch:
+        """The model and known as maximal intervals; only atoms of known can have become longer."""
+        if not known:
+            return Stretch(self.pm, lo, hi)
+        self.meet(known)
+        own = {r[:4] for r in known}
+        longer = merged([r for r in self.met.within(lo, hi) if r[:4] in own], known)
+        return Stretch(self.pm, lo, hi, (atoms(self.spark, known), frame(self.spark, longer)))
+
+    def lacks(self, rows: list[Row]) -> list[Row]:
+        """What of rows the model does not have."""
+        if not rows:
+            return rows
+        self.meet(rows)
+        return minus(rows, self.met.within(min(r[4] for r in rows), max(r[5] for r in rows)))
 
 
 def spread(program: Program, base: PeriodicModel | Patched, seeds: SmallModel, span: tuple[int, int], growing: bool, options, stats, mode: str) -> SmallModel:
     """What depends on seeds, seeds included: the small form of maintain.spread. A round is one job that finds the heads
     which use the delta, and when growing one that fetches what the model has of their atoms."""
-    began, spark, depth, ev = time.perf_counter(), base.core.sparkSession, program.depth, Evaluator(program)
+    began, depth, ev, probe = time.perf_counter(), program.depth, Evaluator(program), Probe(base)
+    spark = probe.spark
     if options.stable != "delta" or options.naive:
         raise TooMany
     pad = 2 * depth + 2
@@ -235,9 +264,7 @@ def spread(program: Program, base: PeriodicModel | Patched, seeds: SmallModel, s
         new: list[Row] = []
         if delta.rows and any(program.needs(r) & delta.preds for r in program.rules):
             lo, hi = delta.lo - pad, delta.hi + pad
-            near = expanded(base, lo, hi)
-            if growing:
-                near = together(spark, near, clipped(known, lo, hi))
+            near = probe.with_known(clipped(known, lo, hi) if growing else [], lo, hi)
             new = fetched(ev.affected(near, F.broadcast(frame(spark, delta.rows)), delta.preds, mode, options.chain, raw=True, exact=not growing))
         if endless:
             wider = (reach[0] - (step if seeds.left else 0), reach[1] + (step if seeds.right else 0))
@@ -246,8 +273,8 @@ def spread(program: Program, base: PeriodicModel | Patched, seeds: SmallModel, s
                     new = new + seeds.within(a, b)
             reach = wider
         new = minus(new, known)
-        if growing and new:
-            new = minus(new, of_atoms(expanded(base, min(r[4] for r in new), max(r[5] for r in new)), new))
+        if growing:
+            new = probe.lacks(new)
         delta = Delta(new, span)
         known += new
         if len(known) > SMALL:
@@ -267,7 +294,7 @@ def restorable(program: Program, rest: Patched, gone: SmallModel, explicit: Data
     lo, hi = (left.lo if left else g_lo), (right.hi if right else g_hi)
     window = gone.within(lo, hi)
     preds, atoms_gone = {r[0] for r in window}, frame(spark, window)
-    near, ev = expanded(rest, lo - pad, hi + pad), Evaluator(program)
+    near, ev = Stretch(rest, lo - pad, hi + pad), Evaluator(program)
     heads = [ev.for_atoms(r, near, atoms_gone) for r in program.rules if r.head_rel and r.head_rel.pred in preds]
     got = of_atoms(union_all([explicit.select(*fact_columns()), *heads]), window)
     return SmallModel(intersect(clipped(got, lo, hi), window), left, right)

@@ -10,7 +10,8 @@ then sorted.
 Edge cases: null texts have size 0 and are never taken; a null source is a source of its own, last in order; repeated
 rows are documents of their own; an empty table gives no rows; all columns pass (the table is not asked for more than
 doc_id, text and source; names with a leading _mix_ are used inside).
-Running sums are taken within hash buckets of about `BUCKET_ROWS` rows, so a source of any size is spread over tasks.
+Running sums are taken within hash buckets of about `BUCKET_ROWS` rows, over the buckets of a block of `BLOCK_BUCKETS`,
+and over the blocks of a source, so a source of any size is spread over tasks.
 """
 
 from __future__ import annotations
@@ -24,6 +25,7 @@ WEIGHTS = (5, 2, 1)
 TOTAL = 1.5
 MOST = 2
 BUCKET_ROWS = 200
+BLOCK_BUCKETS = 1000
 #: Knots (time, weight) of the schedule of each weight class: heavy sources fade, light ones grow.
 SCHEDULES = (((0.0, 1.5), (1.0, 0.5)), ((0.0, 1.0), (1.0, 1.0)), ((0.0, 0.5), (0.5, 1.0), (1.0, 1.5)))
 
@@ -70,9 +72,14 @@ def planned(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, total: float =
     buckets = max(16, small.count() // BUCKET_ROWS)
     bucket = F.pmod(F.shiftrightunsigned("_mix_key", 8), F.lit(buckets)).cast("int")
     goals = targets(small.select("source", "size"), weights, total, most)
-    sums = small.groupBy("source", bucket.alias("_mix_bucket")).agg(F.sum("size").alias("_mix_sum"))
-    ahead = F.coalesce(F.sum("_mix_sum").over(Window.partitionBy("source").orderBy("_mix_bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    starts = sums.withColumn("_mix_start", ahead).drop("_mix_sum").withColumnRenamed("source", "_mix_source").withColumnRenamed("_mix_bucket", "_mix_b")
+    up_to = lambda w: F.coalesce(F.sum("_mix_sum").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    block = F.floor(F.col("_mix_b") / BLOCK_BUCKETS)
+    sums = small.groupBy(F.col("source").alias("_mix_source"), bucket.alias("_mix_b")).agg(F.sum("size").alias("_mix_sum")).withColumn("_mix_block", block)
+    blocks = sums.groupBy("_mix_source", "_mix_block").agg(F.sum("_mix_sum").alias("_mix_sum"))
+    blocks = blocks.select(F.col("_mix_source").alias("_mix_s"), F.col("_mix_block").alias("_mix_k"), up_to(Window.partitionBy("_mix_source").orderBy("_mix_block")).alias("_mix_before"))
+    starts = sums.withColumn("_mix_own", up_to(Window.partitionBy("_mix_source", "_mix_block").orderBy("_mix_b")))
+    starts = starts.join(blocks, F.col("_mix_source").eqNullSafe(F.col("_mix_s")) & (F.col("_mix_block") == F.col("_mix_k")))
+    starts = starts.select("_mix_source", "_mix_b", (F.col("_mix_before") + F.col("_mix_own")).alias("_mix_start"))
     goals = goals.withColumnRenamed("source", "_mix_goal")
     offsets = ts.stored(starts.join(goals, F.col("_mix_source").eqNullSafe(F.col("_mix_goal"))).drop("_mix_goal"), "offsets")
     placed = rows.withColumn("_mix_bucket", bucket)
@@ -83,18 +90,37 @@ def planned(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, total: float =
     return joined.withColumn("offset", F.col("_mix_start") + F.coalesce(F.sum("size").over(within), F.lit(0))).drop("_mix_bucket", "_mix_b", "_mix_source", "_mix_start", "_mix_key")
 
 
+def reads(most: int, whole: bool) -> Column:
+    """The reads of a planned document that begin within its source's target: words, and the training position at which
+    the integrated schedule asks for the first of them. whole: all words of a read, if at least half lie within the target."""
+    def read(epoch: Column) -> Column:
+        at = F.col("offset") + epoch * F.col("source_size")
+        left = F.floor("target") - at
+        words = F.when(at + F.col("size") / 2 <= F.col("target"), F.col("size")).otherwise(F.lit(0)) if whole else F.least(F.greatest(left, F.lit(0)), F.col("size"))
+        return F.struct(words.cast("long").alias("words"), _scheduled(at).alias("position"))
+
+    return F.filter(F.transform(F.sequence(F.lit(0), F.lit(most - 1)), read), lambda r: r["words"] > 0)
+
+
+def _in_order(df: DataFrame, position: str) -> DataFrame:
+    """df range-sorted by training position (nulls last), then id."""
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    order = [F.col(position).asc_nulls_last(), F.col("doc_id")]
+    return df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+
+
 def mix(docs: DataFrame, **options) -> DataFrame:
-    """doc_id, size, source_size, target, taken, first_position of every document; the last document of a source may be
-    taken in part, so that a source's taken words are its target rounded down."""
-    most = options.get("most", MOST)
-    plan = planned(docs, **options)
-    rest = lambda epoch: F.floor("target") - epoch * F.col("source_size") - F.col("offset")
-    taken = sum((F.least(F.greatest(rest(e), F.lit(0)), F.col("size")) for e in range(most)), F.lit(0))
-    return plan.select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"), F.when(taken > 0, _scheduled(F.col("offset"))).alias("first_position"))
+    """doc_id, size, source_size, target, taken, first_position, positions (of all its reads) of every document, in
+    training order: taken are the words of its reads; the last document of a source may be taken in part, so that a
+    source's taken words are its target rounded down. Documents without a read come last."""
+    plan = planned(docs, **options).withColumn("_mix_reads", reads(options.get("most", MOST), whole=False))
+    taken = F.aggregate("_mix_reads", F.lit(0).cast("long"), lambda n, r: n + r["words"])
+    positions = F.transform("_mix_reads", lambda r: r["position"])
+    return _in_order(plan.select("doc_id", "size", "source_size", "target", taken.alias("taken"), F.get(positions, F.lit(0)).alias("first_position"), positions.alias("positions")), "first_position")
 
 
 def _scheduled(words: Column) -> Column:
-    share = F.least(words / F.col("target"), F.lit(1.0))
+    share = F.least(F.coalesce(F.try_divide(words, "target"), F.lit(0.0)), F.lit(1.0))
     out = position(share, SCHEDULES[0])
     for i, knots in enumerate(SCHEDULES[1:], 1):
         out = F.when(F.col("weight_class") % len(SCHEDULES) == i, position(share, knots)).otherwise(out)
@@ -104,10 +130,5 @@ def _scheduled(words: Column) -> Column:
 def curriculum(docs: DataFrame, **options) -> DataFrame:
     """The documents in training order with all their columns, a copy for each time that they are read; the last
     document of a source is read if at least half of it is within the target."""
-    most = options.get("most", MOST)
-    plan = planned(docs, carry=True, **options)
-    reads = F.array(*[F.col("offset") + e * F.col("source_size") for e in range(most)])
-    plan = plan.filter("size > 0").withColumn("_mix_at", F.explode(F.filter(reads, lambda x: x + F.col("size") / 2 <= F.col("target"))))
-    ordered = plan.withColumn("_mix_position", _scheduled(F.col("_mix_at")))
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return ordered.repartitionByRange(parts, "_mix_position", "doc_id").sortWithinPartitions("_mix_position", "doc_id").select("_mix_row.*")
+    plan = planned(docs, carry=True, **options).select(F.explode(reads(options.get("most", MOST), whole=True)["position"]).alias("_mix_position"), "doc_id", "_mix_row")
+    return _in_order(plan, "_mix_position").select("_mix_row.*")

@@ -1,10 +1,13 @@
 """Threshold-scaled document sketches.
 
-A sketch holds every 5-word shingle hash below a fixed fraction of the hash range (and the smallest hash, so that no
-text with a word has an empty sketch). Sketches of parts merge by union; containment and likeness of two texts are
-estimated from sketches alone, however unequal their lengths. A sketch is written as base64 of sorted 32-bit values.
+A sketch holds every 5-word shingle hash below a fixed fraction of the hash range, and no other. Sketches of parts merge
+by union; containment and likeness of two texts are estimated from sketches alone, however unequal their lengths. A
+sketch is written as base64 of sorted 32-bit values.
 
-Edge cases: null texts count as empty; empty texts have an empty sketch, which is like another empty one (1) and
+A short text may have no hash below the fraction. It is then written as `=` and its smallest hash, which stands apart
+from sketches: two such texts are alike (1) if these are equal and not (0) otherwise, and unlike any with a sketch.
+
+Edge cases: null texts count as empty; empty texts have an empty fingerprint, which is like another empty one (1) and
 unlike any other (0); texts with 1 to 4 words have one shingle; null ids sort first; rows with equal ids are ordered
 by text; further columns are ignored.
 """
@@ -28,23 +31,31 @@ WORDS = 5
 LEAST_ID = -(1 << 63)
 
 
-def sketches(texts: pa.Array, fraction: float = FRACTION, k: int = WORDS) -> list[np.ndarray]:
-    """Sorted 32-bit sketch values of each text."""
+def fingerprints(texts: pa.Array, fraction: float = FRACTION, k: int = WORDS) -> list[tuple[np.ndarray, int | None]]:
+    """Sorted 32-bit sketch values of each text, and the smallest hash of a text with shingles but none of these."""
     limit = np.uint64(int(fraction * 2**64) - 1 if fraction < 1 else 2**64 - 1)
     shift = np.uint64(32 - int(-math.log2(fraction))) if fraction < 1 else np.uint64(32)
-    out: list[np.ndarray] = []
+    out: list[tuple[np.ndarray, int | None]] = []
     for _, _, data, offsets in ts.slices(texts):
         h, first = ts.shingles(ts.scan(data, offsets), k)
         kept = h <= limit
         low, at = h[kept], np.concatenate([[0], np.cumsum(kept)])
         for a, b in zip(first[:-1], first[1:], strict=True):
             part = low[at[a] : at[b]]
-            if b > a and not len(part):
-                part = h[a:b].min()[None]
-            out.append(np.unique((part >> shift).astype(np.uint32)))
+            out.append((np.unique((part >> shift).astype(np.uint32)), int(h[a:b].min()) if b > a and not len(part) else None))
     return out
 
 
+def sketches(texts: pa.Array, fraction: float = FRACTION, k: int = WORDS) -> list[np.ndarray]:
+    """Sorted 32-bit sketch values of each text."""
+    return [s for s, _ in fingerprints(texts, fraction, k)]
+
+
+def alike(a: tuple[np.ndarray, int | None], b: tuple[np.ndarray, int | None]) -> float:
+    """Estimated likeness of two fingerprints."""
+    return likeness(a[0], b[0]) if len(a[0]) or len(b[0]) else float(a[1] == b[1])
+
+
 def likeness(a: np.ndarray, b: np.ndarray) -> float:
     """Estimated share of common shingles among all of both."""
     if not len(a) and not len(b):
@@ -62,12 +73,13 @@ def merged(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.union1d(a, b)
 
 
-def written(a: np.ndarray) -> str:
-    return base64.b64encode(a.astype("<u4").tobytes()).decode()
+def written(a: np.ndarray, least: int | None = None) -> str:
+    return base64.b64encode(a.astype("<u4").tobytes()).decode() if least is None else f"={least:016x}"
 
 
 def read(s: str) -> np.ndarray:
-    return np.frombuffer(base64.b64decode(s), "<u4")
+    """The sketch of a fingerprint."""
+    return np.frombuffer(b"" if s.startswith("=") else base64.b64decode(s), "<u4")
 
 
 def fingerprint(df: DataFrame, fraction: float = FRACTION) -> DataFrame:
@@ -75,7 +87,7 @@ def fingerprint(df: DataFrame, fraction: float = FRACTION) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([written(s) for s in sketches(batch.column("text"), fraction)], pa.string())], ["doc_id", "fingerprint"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([written(*s) for s in fingerprints(batch.column("text"), fraction)], pa.string())], ["doc_id", "fingerprint"])
 
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).transform(ts.mapped, run, "doc_id long, fingerprint string")
 
@@ -117,18 +129,18 @@ def _compare(rows: list[tuple[int, bool, int, str]], fraction: float) -> pa.Reco
     for x, y in pairs:
         cut = len(x[3]) // 4
         edited.append(x[3][: len(x[3]) - cut] + y[3][:cut])
-    own = sketches(pa.array([r[3] for r in rows], pa.large_string()), fraction)
+    own = fingerprints(pa.array([r[3] for r in rows], pa.large_string()), fraction)
     ahead = {i: own[i + 1] for i in range(len(rows) - 1) if not rows[i][1]}
     mine = [own[i] for i in ahead]
-    changed = sketches(pa.array(edited, pa.large_string()), fraction)
+    changed = fingerprints(pa.array(edited, pa.large_string()), fraction)
     return pa.RecordBatch.from_pydict({
         "doc_id": pa.array([None if x[2] == LEAST_ID else x[2] for x, _ in pairs], pa.int64()),
         "n_chars": pa.array(map(len, texts), pa.int64()),
         "edited_sha256": pa.array([hashlib.sha256(e.encode()).hexdigest() for e in edited], pa.string()),
-        "fingerprint": pa.array(map(written, mine), pa.string()),
-        "edited_fingerprint": pa.array(map(written, changed), pa.string()),
-        "near_edited": pa.array([likeness(a, b) for a, b in zip(mine, changed, strict=True)], pa.float64()),
-        "near_next": pa.array([likeness(a, b) for a, b in zip(mine, ahead.values(), strict=True)], pa.float64()),
+        "fingerprint": pa.array([written(*m) for m in mine], pa.string()),
+        "edited_fingerprint": pa.array([written(*c) for c in changed], pa.string()),
+        "near_edited": pa.array([alike(a, b) for a, b in zip(mine, changed, strict=True)], pa.float64()),
+        "near_next": pa.array([alike(a, b) for a, b in zip(mine, ahead.values(), strict=True)], pa.float64()),
     })
 
 

@@ -189,6 +189,36 @@ def test_sketch_estimates(spark):
     assert set(sketch.merged(s[0], s[1])) == set(s[0])
 
 
+def shingled(text, k=5):
+    w = text.encode().lower().split()
+    return {tuple(w[i : i + k]) for i in range(len(w) - k + 1)} or ({tuple(w)} if w else set())
+
+
+def test_sketch_likeness_and_containment_against_exact_sets():
+    rng = random.Random(44)
+    whole = [f"w{rng.randrange(5000)}" for _ in range(2000)]
+    pairs = []
+    for n in (1, 2, 6, 40, 400, 1500):
+        for _ in range(60):
+            at = rng.randrange(2000 - n)
+            pairs.append((" ".join(whole[at : at + n]), " ".join(whole)))
+    prints = sketch.fingerprints(pa.array([t for p in pairs for t in p]))
+    off, inside = [], []
+    for (a, b), x, y in zip(pairs, prints[::2], prints[1::2], strict=True):
+        s, t = shingled(a), shingled(b)
+        off.append(abs(sketch.alike(x, y) - len(s & t) / len(s | t)))
+        if len(x[0]) and s <= t:
+            inside.append(sketch.containment(x[0], y[0]))
+        assert (x[1] is None) == bool(len(x[0]))
+    assert np.mean(off) < 0.01 and max(off) < 0.08
+    assert min(inside) == 1.0  # a part's sketch is part of the whole's, however short the part
+    short = sketch.fingerprints(pa.array(["a b c"] * 2 + [f"q{i} r s" for i in range(40)] + [""]))
+    flagged = [f for f in short[2:-1] if f[1] is not None]
+    assert sketch.alike(short[0], short[1]) == 1.0 and len(flagged) > 20
+    assert sketch.alike(flagged[0], flagged[1]) == 0.0 == sketch.alike(flagged[0], short[-1])
+    assert not len(sketch.read(sketch.written(*flagged[0])))
+
+
 def test_sketch_compares_with_next_in_id_order(spark):
     rows = [(i, f"text {i} " * (i % 7)) for i in random.Random(0).sample(range(100), 60)]
     got = {r["doc_id"]: r for r in sketch.compare_with_next(docs(spark, rows)).collect()}
@@ -366,6 +396,9 @@ def test_mix_meets_targets(spark):
         assert r["source_size"] == sizes[source[r["doc_id"]]]
     assert all(taken[s] == int(want[s] + 1e-9) for s in want)
     assert sorted(map(tuple, got), key=str) == sorted(map(tuple, curriculum.mix(docs(spark, rows)).collect()), key=str)
+    firsts = [r["first_position"] for r in got]
+    assert firsts == sorted(firsts, key=lambda x: (x is None, x or 0.0))
+    assert all((r["taken"] > 0) == (len(r["positions"]) > 0) and len(r["positions"]) == -(-r["taken"] // max(1, r["size"])) for r in got)
 
 
 def test_positions_invert_the_schedule(spark):

@@ -470,6 +470,46 @@ def test_planted_secrets_of_the_tables_go(spark):
 
 def test_permutation_is_one_to_one(spark):
     df = spark.range(1000).select(F.format_string("%03d", F.col("id")).alias("e"))
-    out = df.select(surrogates._rewritten(F.col("e"), surrogates.PLAIN, F.lit("k")).alias("s"))
+    out = df.select(surrogates._rewritten(F.col("e"), surrogates._array(surrogates.PLAIN), F.lit("k")).alias("s"))
     assert out.distinct().count() == 1000
     assert out.filter(~F.col("s").rlike("^[0-9]{3}$")).isEmpty()
+
+
+def test_surrogates_of_numbers_addresses_and_introduced_names(spark):
+    planted = {
+        "iban": ["DE89370400440532013000", "DE89 3704 0044 0532 0130 00", "GB29NWBK60161331926819"],
+        "ip6": ["2001:db8:85a3:8d3:1319:8a2e:370:7348", "2001:DB8::1", "::1"],
+        "national": ["123-45-6789"],
+        "phone": ["555-123-4567", "555.123.4567", "555 123 4567"],
+        "person": ["mr Smith", "Dr. Δημήτρης", "Ms Òsé"],
+    }
+    rows = [(i, f"see {e}, ok", k, e) for i, (k, e) in enumerate((k, e) for k, v in planted.items() for e in v)]
+    rows += [(50, "my name is Zoltan Quuxley and", "person", "Zoltan Quuxley"), (51, "Regards,\nWilhelmina Xu", "person", "Wilhelmina Xu")]
+    clean = [(60, "at 10:20:30 std::vector 1.2.3 a-b-c 2024-01-02 My Name Is Earl"), (61, "pwd=***")]
+    df = spark.createDataFrame([r[:2] for r in rows] + clean, "doc_id long, text string").withColumn("entities", F.lit(1)).withColumn("_sg", F.lit(2))
+    out = surrogates.replaced(df, "k", with_entities=True)
+    assert out.columns == ["doc_id", "text", "_sg", "entities"]
+    got = {r["doc_id"]: r for r in out.collect()}
+    for i, text, k, e in rows:
+        assert [(x["kind"], x["entity"]) for x in got[i]["entities"]] == [(k, e)], text
+        new = got[i]["entities"][0]["surrogate"]
+        assert new != e and got[i]["text"] == text.replace(e, new)
+        assert [c.isdigit() for c in new] == [c.isdigit() for c in e] and len(new) == len(e)
+    value = lambda s: int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97
+    accounts = [got[i]["entities"][0]["surrogate"].replace(" ", "") for i in range(3)]
+    assert accounts[0] == accounts[1] and [value(a) for a in accounts] == [1, 1, 1]
+    assert {i: got[i]["text"] for i, _ in clean} == dict(clean)
+
+
+def test_surrogates_are_one_to_one_and_never_the_entity(spark):
+    """Brute force over whole small formats: phone numbers that differ in three digits, names of three letters, all given names."""
+    phones = [f"555-123-4{i:03d}" for i in range(1000)]
+    names = [f"Mr {a}{b}{c}" for a in "ABE" for b in "aeiou" for c in "bcd"] + [f"{g} Xu" for names in surrogates.NAME_LISTS for g in names]
+    mails = [f"{c}@x.org" for c in "abcdefghijklmnopqrstuvwxyz"]
+    df = spark.createDataFrame([(e,) for e in phones + names + mails], "entity string")
+    for key in "pqr":
+        rows = df.withColumn("s", surrogates.surrogate(F.col("entity"), F.lit(key))).collect()
+        assert not [r for r in rows if r["s"] == r["entity"]]
+        assert len({r["s"] for r in rows}) == len(rows)
+    assert surrogates.faults(df, F.lit("p")) == 0
+    assert surrogates.replaced(spark.createDataFrame([], "doc_id long, text string"), "k").count() == 0

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import json
 import os
+import re
+import tempfile
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
@@ -14,9 +16,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; one under /tmp where it is unset (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    return root or "/tmp/chronomill-checkpoints"
+    """The folder of spark.checkpoint.dir; where it is unset, one of this machine's if that is all there is (tests)."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir is not set: it must name a folder that all executors share")
+        root = f"{tempfile.gettempdir()}/chronomill-checkpoints"
+    return root
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:

@@ -47,7 +47,7 @@ STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] =
     ("piece encoding", tokens),
 ]
 
-#: Some stages cannot be expressed in SQL; tests/llm compares them with brute force.
+#: Some stages cannot be expressed in SQL; tests/llm holds line dedup and others against brute force by operator, and the effect of each stage.
 ORACLE_SQL = None
 
 

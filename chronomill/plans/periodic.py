@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import intervals as iv
-from ..sources.store import ARGS, fact_columns, read_text, stored, write_text
+from ..sources.store import ARGS, append_text, fact_columns, latest_text, stored
 from .evaluate import ATOM, bounds
 
 FAR = 1 << 60
@@ -392,13 +392,14 @@ def find_periods(facts: DataFrame | list, depth: int, span: tuple[int, int], del
 
 
 def save_model(pm: PeriodicModel, path: str, version: int = 0) -> None:
-    """A version folder of facts by predicate; the metadata row that names it comes last, so readers see whole versions."""
+    """A version folder of facts by predicate; the metadata row that names it is appended last, so that readers find a
+    whole version at any time (the folder of the version that is current must not be written again)."""
     pm.core.write.mode("overwrite").partitionBy("pred").parquet(f"{path}/v{version}")
-    write_text(pm.core.sparkSession, f"{path}/current", {"version": version, "left": pm.left and [pm.left.lo, pm.left.hi], "right": pm.right and [pm.right.lo, pm.right.hi], "span": pm.span})
+    append_text(pm.core.sparkSession, f"{path}/current", {"version": version, "left": pm.left and [pm.left.lo, pm.left.hi], "right": pm.right and [pm.right.lo, pm.right.hi], "span": pm.span})
 
 
 def load_model(spark, path: str) -> PeriodicModel:
-    meta = read_text(spark, f"{path}/current")
+    meta = latest_text(spark, f"{path}/current")
     core = spark.read.schema("pred string, a0 string, a1 string, a2 string, lo long, hi long").parquet(f"{path}/v{meta['version']}").select(*fact_columns())
     p = lambda x: Period(*x) if x else None
     return PeriodicModel(core, p(meta["left"]), p(meta["right"]), tuple(meta["span"]) if meta.get("span") else None)

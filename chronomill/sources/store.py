@@ -6,6 +6,7 @@ import json
 import os
 import re
 import tempfile
+import time
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
@@ -93,9 +94,13 @@ def append_delta(df: DataFrame, op: str, version: int, path: str) -> None:
     df.select(F.lit(version).alias("version"), F.lit(op).alias("op"), "*").write.mode("append").parquet(path)
 
 
-def write_text(spark: SparkSession, path: str, payload: dict) -> None:
-    spark.createDataFrame([(json.dumps(payload),)], "value string").coalesce(1).write.mode("overwrite").text(path)
+def append_text(spark: SparkSession, path: str, payload: dict) -> None:
+    """Append a version's row; rows written before stay, so that a reader or a crash meets the last whole one."""
+    row = json.dumps(payload | {"at": time.time()})
+    spark.createDataFrame([(row,)], "value string").coalesce(1).write.mode("append").text(path)
 
 
-def read_text(spark: SparkSession, path: str) -> dict:
-    return json.loads(spark.read.text(path).first()[0])
+def latest_text(spark: SparkSession, path: str) -> dict:
+    """The row of the greatest version, of several the one written last."""
+    at = lambda name: F.get_json_object("value", f"$.{name}").cast("double")
+    return json.loads(spark.read.text(path).orderBy(at("version").desc(), at("at").desc()).first()[0])

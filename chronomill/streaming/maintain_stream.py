@@ -23,7 +23,7 @@ class ModelStream:
         pr.save_model(pm, f"{self.folder}/model", 0)
 
     def version(self, spark) -> int:
-        return pr.read_text(spark, f"{self.folder}/model/current")["version"]
+        return pr.latest_text(spark, f"{self.folder}/model/current")["version"]
 
     def model(self, spark) -> pr.PeriodicModel:
         return pr.load_model(spark, f"{self.folder}/model")

@@ -73,6 +73,8 @@ class PieceModel:
         norm = proto.normalizer_spec
         if proto.trainer_spec.model_type != 2 or norm.precompiled_charsmap or norm.remove_extra_whitespaces or not norm.add_dummy_prefix:
             raise ValueError("only merge-type models with identity normalisation are supported")
+        if any(p.type in (kinds.USER_DEFINED, kinds.UNUSED) for p in proto.pieces):
+            raise ValueError("models with user-defined or unused pieces are not supported")
         self.scores = {p.piece: p.score for p in proto.pieces if p.type == kinds.NORMAL}
         self.ids = {p.piece: i for i, p in enumerate(proto.pieces) if p.type == kinds.NORMAL}
         self.bytes = {int(p.piece[3:5], 16): i for i, p in enumerate(proto.pieces) if p.type == kinds.BYTE}

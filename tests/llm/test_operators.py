@@ -102,6 +102,18 @@ def test_pieces_equal_the_library(spark):
         assert model.decode(lib.encode(t)) == lib.decode(lib.encode(t))
 
 
+def test_models_with_unsupported_pieces_are_refused(tmp_path):
+    from sentencepiece import sentencepiece_model_pb2
+
+    proto = sentencepiece_model_pb2.ModelProto()
+    with open(tokenizer_path(), "rb") as f:
+        proto.ParseFromString(f.read())
+    proto.pieces[-1].type = sentencepiece_model_pb2.ModelProto.SentencePiece.USER_DEFINED
+    (tmp_path / "m.model").write_bytes(proto.SerializeToString())
+    with pytest.raises(ValueError, match="user-defined"):
+        pieces.PieceModel(str(tmp_path / "m.model"))
+
+
 # 3
 
 

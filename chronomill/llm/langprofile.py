@@ -33,6 +33,7 @@ WORD_CAP = 1 << 19
 #: Word characters that are numerals, not letters (all lie in the first two planes).
 _NUMERALS = "".join(chr(i) for i in range(0x20000) if unicodedata.category(chr(i)) in ("No", "Nl"))
 LETTERS = re.compile(rf"[^\W\d_{_NUMERALS}]+")
+_LETTERS_OR_NUMERALS = re.compile(r"[^\W\d_]+")
 
 
 def grams(word: str) -> list[str]:
@@ -40,12 +41,20 @@ def grams(word: str) -> list[str]:
     return [g for n in ORDERS for i in range(len(padded) - n + 1) if (g := padded[i : i + n]) != " "]
 
 
+def words(text: str) -> list[str]:
+    """Runs of letters in lower case: what LETTERS finds, whose long class is only tried on runs that have a numeral."""
+    found = _LETTERS_OR_NUMERALS.findall(text.lower())
+    if all(map(str.isalpha, found)):
+        return found
+    return [w for run in found for w in ((run,) if run.isalpha() else LETTERS.findall(run))]
+
+
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    words: dict[str, Counter] = {}
+    counts: dict[str, Counter] = {}
     for batch in batches:
         for lang, text in zip(batch.column("lang").to_pylist(), batch.column("text").to_pylist(), strict=True):
-            words.setdefault(lang, Counter()).update(LETTERS.findall((text or "").lower()))
-    for lang, counter in words.items():
+            counts.setdefault(lang, Counter()).update(words(text or ""))
+    for lang, counter in counts.items():
         out: Counter = Counter()
         for w, n in counter.items():
             for g in grams(w):
@@ -101,7 +110,7 @@ class Identifier:
         return a
 
     def predict(self, text: str | None) -> tuple[str, float]:
-        counted = Counter(LETTERS.findall(text.lower())) if text else None
+        counted = Counter(words(text)) if text else None
         if not counted or not self.langs:
             return "und", 0.0
         if len(self.ids) > GRAM_CAP or len(self.words) > WORD_CAP:

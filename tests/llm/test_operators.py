@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -525,3 +526,18 @@ def test_surrogates_are_one_to_one_and_never_the_entity(spark):
         assert len({r["s"] for r in rows}) == len(rows)
     assert surrogates.faults(df, F.lit("p")) == 0
     assert surrogates.replaced(spark.createDataFrame([], "doc_id long, text string"), "k").count() == 0
+
+
+def test_words_are_cheap_runs_of_letters():
+    """The same words as the class of letters finds, numerals inside words included, at a fraction of its time."""
+    odd = ["", "123 _", "ab²cd Ⅷx x½ ½", "Straße İstanbul ǅ_a1b", "一二 ①② 𐄇a𐄇", "été" * 3 + "٣" + "é", "áb"]
+    for text in odd:
+        assert langprofile.words(text) == langprofile.LETTERS.findall(text.lower())
+    text = "Les étoiles brillent au-dessus des champs, and the river runs. " * 4000
+
+    def seconds(f):
+        began = time.process_time()
+        assert len(f()) == 44_000
+        return time.process_time() - began
+
+    assert min(seconds(lambda: langprofile.words(text)) for _ in range(3)) * 3 < min(seconds(lambda: langprofile.LETTERS.findall(text.lower())) for _ in range(3))

@@ -42,3 +42,28 @@ def test_as_of_takes_every_line(spark):
     got = entry.queries()["as_of_lines"](spark, sf).fillna(-1, ["last_order"]).collect()
     assert sorted(map(tuple, got)) == sorted(want)
     assert {r[2] for r in got} > {1}
+
+
+def test_inspection_queries_follow_the_tables(spark, tmp_path):
+    """The algebra of periodic models, the statistics and the rule table are of the given tables, not of made-up rows."""
+    at = lambda day: dt.datetime(2024, 1, 1 + day, 7)
+    events = [(1, 0, "view", 120.0, at(3)), (2, 0, "view", 10.0, at(4)), (3, 0, "click", 80.0, at(1)), (4, 1, "view", 0.0, at(5)), (5, 2, "click", 31.0, at(2)), (6, 2, "purchase", 1.0, at(0))]
+    sf = written(
+        spark,
+        tmp_path,
+        events=("event_id long, user_id long, event_type string, value double, ts timestamp_ntz, props string", [(*e, None) for e in events]),
+        orders=("o_orderkey long, o_custkey long, o_orderdate date, o_orderpriority string, o_orderstatus string", [(i, i % 2, DAY0, "hl"[i % 2], "F") for i in range(5)]),
+        lineitem=("l_orderkey long, l_partkey long, l_suppkey long, l_shipdate date", [(i, 0, 0, DAY0) for i in range(7)]),
+        customer=("c_custkey long, c_nationkey int, c_mktsegment string", [(0, 1, "a"), (1, 1, "b")]),
+        supplier=("s_suppkey long, s_nationkey int", [(0, 0), (1, 2), (2, 0)]),
+        part=("p_partkey long, p_type string", [(0, "t")]),
+        nation=("n_nationkey int, n_regionkey int", [(i, 0) for i in range(4)]),
+    )
+    run = lambda name: entry.queries()[name](spark, sf).collect()
+    points = lambda name: {(r["x"], r["start_t"]) for r in run(name)}
+    two = {(0, t) for t in range(3, 71, 2)} | {(1, t) for t in range(5, 71, 2)}
+    three = {(0, t) for t in range(1, 71, 3)} | {(2, t) for t in range(2, 71, 3)}
+    assert points("pm_union") == two | three
+    assert points("pm_minus") == two - three
+    assert [tuple(r) for r in run("pm_lcm")] == [(6,)]
+    assert [tuple(r) for r in run("pm_align")] == [(2 * 12 + 1,)]

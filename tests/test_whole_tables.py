@@ -67,3 +67,5 @@ def test_inspection_queries_follow_the_tables(spark, tmp_path):
     assert points("pm_minus") == two - three
     assert [tuple(r) for r in run("pm_lcm")] == [(6,)]
     assert [tuple(r) for r in run("pm_align")] == [(2 * 12 + 1,)]
+    facts = {r["workload"]: r["facts"] for r in run("dataset_stats")}
+    assert facts == {"example": 2, "fault": 3 + 2 + 3 + 2, "meteo": 6 + 1 + 2, "generated": 5, "trade": 3 * 5 + 7 + 2 * 2 + 1 + 3 + 4}

@@ -69,3 +69,7 @@ def test_inspection_queries_follow_the_tables(spark, tmp_path):
     assert [tuple(r) for r in run("pm_align")] == [(2 * 12 + 1,)]
     facts = {r["workload"]: r["facts"] for r in run("dataset_stats")}
     assert facts == {"example": 2, "fault": 3 + 2 + 3 + 2, "meteo": 6 + 1 + 2, "generated": 5, "trade": 3 * 5 + 7 + 2 * 2 + 1 + 3 + 4}
+    rules = run("rule_table")
+    assert len(rules) == 85
+    by_head = {(r["head"], r["needs"]): r["facts"] for r in rules}
+    assert by_head["urgent_0", "ordered,prio_0"] == 5 + 3 and by_head["bought_from", "contains,ordered"] == 5 + 7 and by_head["steady", "watch"] == 0
